@@ -25,6 +25,7 @@ SEED = 20240229
 SHARDS = 16
 #: Documents in a block, on average.
 BLOCK = 256
+_SPACE = r"[\x20\x09-\x0D]"
 #: A recipe names its sources; more than this many is not a recipe and is refused.
 MOST_SOURCES = 100_000
 
@@ -226,10 +227,8 @@ def mixed(docs: DataFrame, **options) -> DataFrame:
     )
     once = boxed.dropDuplicates(["key"])
     chosen = once.join(plan, "key").select("row", "size", F.explode("takes").alias("words"))
-    # the first n words: white space and words in turn, possessive so that nothing is retried
-    first = F.expr(
-        "regexp_extract(row.text, concat('^(?:[\\\\x20\\\\x09-\\\\x0D]*+[^\\\\x20\\\\x09-\\\\x0D]++){', words, '}'), 0)"
-    )
+    # the first n words: white space and words in turn; possessive, so that Java loops and does not recurse
+    first = F.call_function("regexp_extract", F.col("row.text"), F.concat(F.lit(f"^(?:{_SPACE}*+{WORD}+){{"), F.col("words").cast("string"), F.lit("}+")), F.lit(0))
     text = F.when(F.col("words") >= F.col("size"), F.col("row.text")).otherwise(first)
     fields = []
     for name in docs.columns:
