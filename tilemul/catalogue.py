@@ -1040,25 +1040,30 @@ def _stream(spark: SparkSession, d: str) -> DataFrame:
     return deltas.source(spark, f"{d}/events.parquet")
 
 
+def _plain_times(df: DataFrame) -> DataFrame:
+    """Times without a zone, as the tables have them."""
+    return df.withColumns({f.name: F.col(f.name).cast("timestamp_ntz") for f in df.schema if f.dataType.typeName() == "timestamp"})
+
+
 _B5 = "SELECT i, j, CAST((31 * i + 17 * j) % 97 - 48 AS BIGINT) AS v FROM range(5) t(i), range(8) u(j)"
 _EVENTS = f"SELECT ts, user_id AS i, CAST({sql._CODE} AS BIGINT) AS k FROM events"
 
 
 @query("stream_delta_tumbling", f"SELECT date_trunc('day', ts)::TIMESTAMP AS start, e.i, b.j, CAST(sum(b.v) AS BIGINT) AS v FROM ({_EVENTS}) e JOIN ({_B5}) b ON e.k = b.i GROUP BY ALL")
 def stream_delta_tumbling(spark, d):
-    return deltas.run(deltas.delta_product(_stream(spark, d), tables.grid_b(spark, 5, 8)), "complete")
+    return _plain_times(deltas.run(deltas.delta_product(_stream(spark, d), tables.grid_b(spark, 5, 8)), "complete"))
 
 
 @query("stream_delta_sliding", f"SELECT (date_trunc('day', ts) - to_days(CAST(s AS INTEGER)))::TIMESTAMP AS start, e.i, b.j, CAST(sum(b.v) AS BIGINT) AS v FROM ({_EVENTS}) e JOIN ({_B5}) b ON e.k = b.i, range(2) w(s) GROUP BY ALL")
 def stream_delta_sliding(spark, d):
-    return deltas.run(deltas.delta_product(_stream(spark, d), tables.grid_b(spark, 5, 8), "2 days", "1 day"), "complete")
+    return _plain_times(deltas.run(deltas.delta_product(_stream(spark, d), tables.grid_b(spark, 5, 8), "2 days", "1 day"), "complete"))
 
 
 @query("stream_session", """SELECT user_id, min(ts)::TIMESTAMP AS start, (max(ts) + INTERVAL 6 HOUR)::TIMESTAMP AS finish, count(*) AS n FROM (
 SELECT *, sum(fresh) OVER (PARTITION BY user_id ORDER BY ts, event_id) AS run FROM (SELECT user_id, ts, event_id,
 CASE WHEN ts >= lag(ts) OVER (PARTITION BY user_id ORDER BY ts, event_id) + INTERVAL 6 HOUR THEN 1 ELSE 0 END AS fresh FROM events)) GROUP BY user_id, run""")
 def stream_session(spark, d):
-    return deltas.run(deltas.sessions(_stream(spark, d)), "complete")
+    return _plain_times(deltas.run(deltas.sessions(_stream(spark, d)), "complete"))
 
 
 @query("stream_running", f"SELECT e.i, b.j, CAST(sum(b.v) AS BIGINT) AS v FROM ({_EVENTS}) e JOIN ({_B5}) b ON e.k = b.i GROUP BY ALL")

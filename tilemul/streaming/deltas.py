@@ -18,11 +18,19 @@ from ..sources.tables import event_code
 
 
 def source(spark: SparkSession, path: str, files_per_trigger: int | None = None) -> DataFrame:
-    """The events of a folder of Parquet files as a stream, with the schema given by its files."""
+    """The events of a folder of Parquet files, or of one file, as a stream of their own schema.
+
+    ``ts`` becomes a timestamp of the session's zone, which watermarks ask for.
+    """
     reader = spark.readStream.schema(spark.read.parquet(path).schema)
     if files_per_trigger:
         reader = reader.option("maxFilesPerTrigger", files_per_trigger)
-    return reader.parquet(path)
+    where = spark._jvm.org.apache.hadoop.fs.Path(path)
+    files = where.getFileSystem(spark._jsc.hadoopConfiguration())
+    if not files.getFileStatus(where).isDirectory():  # a stream reads folders
+        reader = reader.option("pathGlobFilter", where.getName())
+        path = where.getParent().toString()
+    return reader.parquet(path).withColumn("ts", F.col("ts").cast("timestamp"))
 
 
 def delta_product(events: DataFrame, b: Matrix, width: str = "1 day", slide: str | None = None, watermark: str = "1 day") -> DataFrame:
