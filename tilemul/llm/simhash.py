@@ -149,13 +149,13 @@ def _hot_links(table: DataFrame, probes: DataFrame, hot: DataFrame, most: int) -
     low = F.col("fp").bitwiseAND(F.lit(0xFFFFFFFF).cast("long"))
     other = F.when(F.col("key") < F.lit(1 << 32), F.shiftrightunsigned("fp", 32)).otherwise(low)
     members = table.withColumn("near", F.lit(0)).unionByName(probes.withColumn("near", F.lit(1)))
-    # at distance `near` in this segment, the other may take the rest: one from the member
-    # that is hub, what is left from the one that meets it
-    hub_radius = min(1, most)
+    # members at `near` in this segment may differ by the rest in the other one: up to half of
+    # it from a hub to the point, so that two hubs are linked too, the other half from a member
+    hub_radius = most // 2
     points = (
         members.join(hot, "key", "left_semi")
         .withColumn("other", other)
-        .withColumn("ball", F.explode(_ball(max(most - hub_radius, hub_radius))))
+        .withColumn("ball", F.explode(_ball(most - hub_radius)))
         .where(F.col("ball.r") <= F.lit(most - hub_radius) - F.col("near"))
         .select("key", F.col("other").bitwiseXOR(F.col("ball.mask")).alias("point"), "fp", "near", "ball.r")
     )
