@@ -6,7 +6,6 @@ window until the watermark passes it. The same function takes a stream or a tabl
 
 from __future__ import annotations
 
-import tempfile
 import uuid
 
 from pyspark.sql import DataFrame, SparkSession
@@ -70,33 +69,19 @@ def deduplicated(events: DataFrame, watermark: str = "1 day") -> DataFrame:
     return events.withWatermark("ts", watermark).dropDuplicatesWithinWatermark(["event_id"])
 
 
-def run(result: DataFrame, mode: str = "append", checkpoint: str | None = None) -> DataFrame:
-    """All that a stream has by now, through ``availableNow`` into a table of files.
+def run(result: DataFrame, mode: str = "append", folder: str | None = None) -> DataFrame:
+    """All that a stream has by now, through ``availableNow``.
 
-    Append leaves out windows that the watermark has not passed; complete and update keep all.
-    Running again with the same checkpoint goes on where the last run ended.
+    Append writes files and leaves out windows that the watermark has not passed; running again
+    with the same ``folder``, which holds the state and the files, goes on where the last run
+    ended. Complete and update keep everything in a table in memory.
     """
     spark = result.sparkSession
+    folder = folder or f"{scratch(spark).rstrip('/')}/stream-{uuid.uuid4().hex}"
+    writer = result.writeStream.outputMode(mode).option("checkpointLocation", f"{folder}/state").trigger(availableNow=True)
     if mode == "append":
-        folder = f"{scratch(spark).rstrip('/')}/stream-{uuid.uuid4().hex}"
-        query = (
-            result.writeStream.outputMode("append")
-            .format("parquet")
-            .option("path", f"{folder}/out")
-            .option("checkpointLocation", checkpoint or f"{folder}/state")
-            .trigger(availableNow=True)
-            .start()
-        )
-        query.awaitTermination()
+        writer.format("parquet").option("path", f"{folder}/out").start().awaitTermination()
         return spark.read.schema(result.schema).parquet(f"{folder}/out")
     name = f"stream_{uuid.uuid4().hex}"
-    query = (
-        result.writeStream.outputMode(mode)
-        .format("memory")
-        .queryName(name)
-        .option("checkpointLocation", checkpoint or tempfile.mkdtemp(prefix="tilemul-"))
-        .trigger(availableNow=True)
-        .start()
-    )
-    query.awaitTermination()
+    writer.format("memory").queryName(name).start().awaitTermination()
     return spark.table(name)
