@@ -9,10 +9,12 @@ from pyspark.sql import functions as F
 from pyspark.sql import Window
 
 from . import oracles as sql
+from . import sqlapi
 from .apps import graphs, learning
+from .functions import udfs
 from .grid import GridSpec, schedule
 from .matrix import Matrix
-from .operators import layout, products, roofline, stealing, work
+from .operators import baselines, layout, products, roofline, stealing, work
 from .plans import planner
 from .sources import tables
 from .streaming import deltas
@@ -1075,3 +1077,49 @@ def stream_running(spark, d):
 WHERE a.event_type = 'click' AND b.event_type = 'purchase' AND b.ts >= a.ts AND b.ts <= a.ts + INTERVAL 1 HOUR""")
 def stream_join(spark, d):
     return deltas.run(deltas.purchases_after_clicks(_stream(spark, d)), "append")
+
+
+# ---- baselines, SQL surface and functions -------------------------------------------------
+
+
+@query("baseline_block_matrix", f"SELECT i, j, CAST(v AS DOUBLE) AS v FROM ({_FOLLOW2}) WHERE v <> 0")
+def baseline_block_matrix(spark, d):
+    a = tables.user_follow(spark, d)
+    return _out(baselines.block_matrix(a, a, 64))
+
+
+@query("baseline_single_worker", _SD)
+def baseline_single_worker(spark, d):
+    a, b, _ = _sd(spark, d)
+    return _out(baselines.single_worker(a, b))
+
+
+@query("sql_multiply", _FOLLOW2)
+def sql_multiply(spark, d):
+    tables.user_follow(spark, d).df.createOrReplaceTempView("user_follow")
+    return spark.sql(sqlapi.multiply_sql("user_follow", "user_follow", "c"))
+
+
+@query("sql_masked", ORACLES["ss_masked"])
+def sql_masked(spark, d):
+    tables.user_follow(spark, d).df.createOrReplaceTempView("user_follow")
+    return spark.sql(sqlapi.multiply_sql("user_follow", "user_follow", "merge", mask="user_follow"))
+
+
+@query("udtf_work_cube", "SELECT CAST(x AS INTEGER) AS ti, CAST(y AS INTEGER) AS tk, CAST(z AS INTEGER) AS tj FROM range(3) a(x), range(4) b(y), range(5) c(z)")
+def udtf_work_cube(spark, d):
+    return udfs.WorkCube(F.lit(3), F.lit(4), F.lit(5))
+
+
+@query("udf_csr_row_dot", f"SELECT i, CAST(sum(v * ((7 * j) % 5)) AS DOUBLE) AS dot FROM ({_F}) GROUP BY i")
+def udf_csr_row_dot(spark, d):
+    a = tables.user_follow(spark, d)
+    x = F.transform(F.sequence(F.lit(0), F.lit(a.cols - 1)), lambda j: ((j * 7) % 5).cast("double"))
+    rows = a.df.groupBy("i").agg(F.collect_list("j").alias("cols"), F.collect_list("v").alias("vals"))
+    return rows.select("i", udfs.csr_row_dot("cols", "vals", x).alias("dot"))
+
+
+@query("vector_sum_by_label", """SELECT label, CAST(d AS INTEGER) AS pos, round(sum(x), 4) AS x FROM (SELECT label, generate_subscripts(embedding, 1) - 1 AS d, CAST(unnest(embedding) AS DOUBLE) AS x FROM embeddings) GROUP BY label, d""")
+def vector_sum_by_label(spark, d):
+    vectors = tables.table(spark, d, "embeddings").select("label", F.col("embedding").cast("array<double>").alias("x"))
+    return _rounded(udfs.add_vectors(vectors, "label", "x").select("label", F.posexplode("x").alias("pos", "x")), "x", digits=4)
