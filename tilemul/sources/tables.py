@@ -2,6 +2,11 @@
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+
+import numpy as np
+import pandas as pd
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import Window
@@ -135,23 +140,40 @@ def doc_term(spark: SparkSession, sf_dir: str, terms: int = 4096) -> Matrix:
     return Matrix(cells, _size(table(spark, sf_dir, "documents"), "doc_id"), terms)
 
 
-def emb_graph(spark: SparkSession, sf_dir: str) -> Matrix:
+def emb_graph(spark: SparkSession, sf_dir: str, block: int = 512) -> Matrix:
     """Pairs of vectors with cosine of 0.2 or more, tested in whole numbers.
 
-    The pairs are those of A·Aᵀ over the quantized components: a dense product whose output
-    is thresholded, in row blocks, as the fixture defines it.
+    The fixture is A·Aᵀ over quantized components, thresholded. Vectors are packed into blocks of
+    bounded size, every block meets every other by an equi-join on the block's number, and a
+    dense product of two blocks keeps only the pairs that pass.
     """
-    rows = table(spark, sf_dir, "embeddings").select(
-        "vec_id", F.transform("embedding", lambda x: F.floor(x.cast("double") * 1000 + 0.5).cast("long")).alias("q")
+    vectors = table(spark, sf_dir, "embeddings").select("vec_id", "embedding")
+    n = _size(vectors, "vec_id")
+    blocks = max(1, -(-n // block))
+
+    def pack(rows: pd.DataFrame) -> pd.DataFrame:
+        x = np.floor(np.stack([np.asarray(v, dtype=float) for v in rows["embedding"]]) * 1000 + 0.5)
+        cells = [(rows["b"].iloc[0], x.shape[1], rows["vec_id"].to_numpy("<i8").tobytes(), x.astype("<f8").tobytes())]
+        return pd.DataFrame(cells, columns=["b", "dim", "ids", "x"])
+
+    packed = vectors.withColumn("b", F.pmod("vec_id", F.lit(blocks)).cast("int")).groupBy("b").applyInPandas(
+        pack, "b int, dim int, ids binary, x binary"
     )
-    dot = F.aggregate(F.zip_with("q", "r", lambda a, b: a * b), F.lit(0).cast("long"), lambda s, x: s + x)
-    own = F.aggregate("q", F.lit(0).cast("long"), lambda s, x: s + x * x)
-    left = rows.select(F.col("vec_id").alias("i"), "q", own.alias("n1"))
-    right = left.select(F.col("i").alias("j"), F.col("q").alias("r"), F.col("n1").alias("n2"))
-    pairs = left.join(right, F.col("i") != F.col("j")).withColumn("s", dot)
-    cells = pairs.where("s > 0 and 25 * s * s >= n1 * n2").select("i", "j", F.lit(1).cast("long").alias("v"))
-    n = _size(table(spark, sf_dir, "embeddings"), "vec_id")
-    return Matrix(cells, n, n)
+    right = packed.select("b", F.col("ids").alias("ids2"), F.col("x").alias("x2"))
+    left = packed.select("dim", "ids", "x", F.explode(F.sequence(F.lit(0), F.lit(blocks - 1))).alias("b"))
+
+    def pairs(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for r in batch.to_pylist():
+                i, j = np.frombuffer(r["ids"], "<i8"), np.frombuffer(r["ids2"], "<i8")
+                x, y = (np.frombuffer(r[c], "<f8").reshape(-1, r["dim"]) for c in ("x", "x2"))
+                s = x @ y.T  # whole numbers far below 2**53: exact
+                alike = (s > 0) & (25 * s * s >= np.outer((x * x).sum(1), (y * y).sum(1))) & (i[:, None] != j[None, :])
+                at_i, at_j = np.nonzero(alike)
+                yield pa.RecordBatch.from_arrays([pa.array(i[at_i]), pa.array(j[at_j])], ["i", "j"])
+
+    edges = left.join(right, "b").select("dim", "ids", "x", "ids2", "x2").mapInArrow(pairs, "i long, j long")
+    return Matrix(edges.select("i", "j", F.lit(1).cast("long").alias("v")), n, n)
 
 
 def href(spark: SparkSession, sf_dir: str) -> DataFrame:
