@@ -10,7 +10,7 @@ def brute_topk(rows, k):
     vectors = {}
     for i, v in rows:
         if i is not None and v is not None and all(x is not None and math.isfinite(x) for x in v):
-            q = [math.floor(64 * x) for x in v]
+            q = [max(-topk.LIMIT, min(topk.LIMIT, math.floor(64 * x))) for x in v]
             vectors[i] = min(vectors.get(i, q), q)
     out = {}
     for i, q in vectors.items():
@@ -20,8 +20,9 @@ def brute_topk(rows, k):
     return {i: v for i, v in out.items() if v}
 
 
-@pytest.mark.parametrize("dim,scale", [(8, 1.0), (64, 0.1), (3, 1000.0), (1, 1.0)])
-def test_topk_equals_brute_force(spark, dim, scale, monkeypatch):
+@pytest.mark.parametrize("dim,scale,dense", [(8, 1.0, 0.05), (8, 1.0, 2.0), (64, 0.1, 0.05), (64, 0.1, 2.0), (3, 1000.0, 2.0), (3, 1e7, 0.05), (1, 1.0, 0.05)])
+def test_topk_equals_brute_force(spark, dim, scale, dense, monkeypatch):
+    monkeypatch.setattr(topk, "DENSE", dense)
     monkeypatch.setattr(topk, "CANDIDATE_BLOCK", 64)
     monkeypatch.setattr(topk, "QUERY_BLOCK", 8)
     rng = np.random.default_rng(dim)

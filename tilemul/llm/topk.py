@@ -33,6 +33,8 @@ LEVELS = (4, 16)
 #: Quantized components stop here, so that an inner product of up to 2048 fits a long.
 LIMIT = 1 << 26
 _AT_ONCE = 256
+#: Share of pairs above which survivors of the coarse bound are computed as one product.
+DENSE = 0.05
 
 
 class Segments:
@@ -80,7 +82,15 @@ def best_of_block(
         least = np.sort(scored, axis=1)[:, ::-1][:, min(k, take) - 1] if take >= k else np.full(len(some), -np.inf)
         if not floats:
             least = least - slack
-        alive_q, alive_c = np.nonzero((bound >= (least - slack)[:, None]) & ~own)
+        alive = (bound >= (least - slack)[:, None]) & ~own
+        if np.count_nonzero(alive) > DENSE * alive.size:
+            # little is pruned: one product of matrices is cheaper than pairs one by one
+            whole = some @ points.T if floats else some_exact @ exact.T
+            for q in range(len(some)):
+                at_c = np.flatnonzero(alive[q])
+                yield int(query_ids[at + q]), *_first(ids[at_c], whole[q, at_c].astype(np.int64), k)
+            continue
+        alive_q, alive_c = np.nonzero(alive)
         for my, their in zip(mine[1:], theirs[1:]):
             fine = np.empty(len(alive_q))
             for part in range(0, len(alive_q), 1 << 16):
@@ -95,9 +105,18 @@ def best_of_block(
             scores[s] = np.einsum("pd,pd->p", left[alive_q[s]], right[alive_c[s]])
         ends = np.searchsorted(alive_q, np.arange(len(some) + 1))
         for q in range(len(some)):
-            mine_s, mine_c = scores[ends[q] : ends[q + 1]], alive_c[ends[q] : ends[q + 1]]
-            top = np.argsort(-mine_s, kind="stable")[:k]  # candidates are in order of id
-            yield int(query_ids[at + q]), ids[mine_c[top]], mine_s[top]
+            own_part = slice(ends[q], ends[q + 1])
+            yield int(query_ids[at + q]), *_first(ids[alive_c[own_part]], scores[own_part], k)
+
+
+def _first(ids: np.ndarray, scores: np.ndarray, k: int) -> tuple[np.ndarray, np.ndarray]:
+    """The k best of scores whose ids are in order, ties to smaller ids."""
+    if len(scores) > k:
+        least = np.partition(scores, len(scores) - k)[len(scores) - k]
+        near = np.flatnonzero(scores >= least)
+        ids, scores = ids[near], scores[near]
+    top = np.argsort(-scores, kind="stable")[:k]
+    return ids[top], scores[top]
 
 
 def quantized(vectors: DataFrame, scale: int = SCALE) -> DataFrame:
