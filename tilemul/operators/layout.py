@@ -60,43 +60,27 @@ class Tiled:
 _POOL = ThreadPoolExecutor(max_workers=4, thread_name_prefix="tile")
 
 
+_ARROW = {"bigint": pa.int64(), "int": pa.int32(), "double": pa.float64(), "float": pa.float32()}
+
+
 def to_tiles(a: Matrix, tile_rows: int, tile_cols: int) -> Tiled:
-    """CSR tiles by sorting and gathering on the JVM; one shuffle."""
+    """CSR tiles: one shuffle, each tile packed in time linear in its entries and rows."""
     row = F.call_function("div", F.col("i"), F.lit(tile_rows).cast("long")).cast("int")
     col = F.call_function("div", F.col("j"), F.lit(tile_cols).cast("long")).cast("int")
+    kind = a.df.schema["v"].dataType.simpleString()
+    rows, cols, values = a.rows, a.cols, pa.list_(_ARROW[kind])
     entries = a.df.select(row.alias("ti"), col.alias("tk"), (F.col("i") % tile_rows).alias("r"), (F.col("j") % tile_cols).alias("c"), "v")
-    nrows = F.least(F.lit(tile_rows), F.lit(a.rows) - F.col("ti") * tile_rows).cast("int")
-    ncols = F.least(F.lit(tile_cols), F.lit(a.cols) - F.col("tk") * tile_cols).cast("int")
-    # entries per row in order, then their running total: the row pointers
-    counts = (
-        entries.groupBy("ti", "tk", "r")
-        .agg(F.array_sort(F.collect_list(F.struct("c", "v"))).alias("cells"))
-        .groupBy("ti", "tk")
-        .agg(F.array_sort(F.collect_list(F.struct("r", "cells"))).alias("filled"))
-    )
-    cells = F.flatten(F.transform("filled", lambda f: f["cells"]))
-    # a row's pointer is the number of cells in filled rows before it
-    sizes = F.map_from_entries(F.transform("filled", lambda f: F.struct(f["r"].alias("k"), F.size(f["cells"]).cast("long").alias("n"))))
-    start = F.array(F.lit(0).cast("long"))
-    pointers = F.aggregate(
-        F.sequence(F.lit(0).cast("long"), nrows.cast("long") - 1),
-        start,
-        lambda acc, r: F.concat(acc, F.array(F.element_at(acc, -1) + F.coalesce(F.try_element_at(F.col("sizes"), r), F.lit(0)))),
-    )
-    df = (
-        counts.withColumn("sizes", sizes)
-        .withColumn("cells", cells)
-        .select(
-            "ti",
-            "tk",
-            nrows.alias("nrows"),
-            ncols.alias("ncols"),
-            pointers.alias("row_ptr"),
-            F.transform("cells", lambda c: c["c"]).alias("col_idx"),
-            F.transform("cells", lambda c: c["v"]).alias("vals"),
-        )
-    )
-    return Tiled(df, a.rows, a.cols, tile_rows, tile_cols)
+    longs = pa.list_(pa.int64())
+
+    def pack(t: pa.Table) -> pa.Table:
+        ti, tk = t["ti"][0].as_py(), t["tk"][0].as_py()
+        nrows, ncols = min(tile_rows, rows - ti * tile_rows), min(tile_cols, cols - tk * tile_cols)
+        tile = kernels.pack(t["r"].to_numpy(), t["c"].to_numpy(), t["v"].to_numpy(), nrows, ncols)
+        cells = [(ti, pa.int32()), (tk, pa.int32()), (nrows, pa.int32()), (ncols, pa.int32()), (tile.row_ptr, longs), (tile.col_idx, longs), (tile.vals, values)]
+        names = ["ti", "tk", "nrows", "ncols", "row_ptr", "col_idx", "vals"]
+        return pa.table([pa.array([v], k) for v, k in cells], names=names)
+
+    return Tiled(entries.groupBy("ti", "tk").applyInArrow(pack, TILE_DDL.format(kind)), a.rows, a.cols, tile_rows, tile_cols)
 
 
 def from_tiles(t: Tiled) -> Matrix:
@@ -135,7 +119,7 @@ def tile_product(a: Tiled, b: Tiled, ring: str = "plus_times") -> Matrix:
     if a.cols != b.rows or a.tile_cols != b.tile_rows:
         raise ValueError("inner dimensions or tiles do not fit")
     kind = a.value_type
-    arrow = {"bigint": pa.int64(), "double": pa.float64(), "int": pa.int32(), "float": pa.float32()}[kind]
+    arrow = _ARROW[kind]
     height, width = a.tile_rows, b.tile_cols
     left = a.df.select("ti", F.col("tk").alias("k"), *(F.col(c).alias(f"a_{c}") for c in ("row_ptr", "col_idx", "vals", "ncols")))
     right = b.df.select(F.col("ti").alias("k"), F.col("tk").alias("tj"), *(F.col(c).alias(f"b_{c}") for c in ("row_ptr", "col_idx", "vals", "ncols")))
