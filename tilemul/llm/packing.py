@@ -22,8 +22,8 @@ from .common import cut, whole
 
 SEQUENCE = 1024
 END_ID = 2
-#: Pieces that one partition packs.
-PIECES_PER_PARTITION = 50_000
+#: Pieces that one partition packs: a few numbers each, so about 100 MB; larger partitions waste less.
+PIECES_PER_PARTITION = 400_000
 ROUNDS = 4
 
 
@@ -43,9 +43,8 @@ class Encoder:
 
         os.environ["TOKENIZERS_PARALLELISM"] = "false"  # a task has one core
         import tiktoken
-        from tokenizers import Tokenizer
 
-        self.slow, self.fast = Tokenizer.from_file(path), None
+        self.path, self.slow, self.fast = path, None, None
         with open(path, encoding="utf-8") as file:
             spec = json.load(file)
         special = [re.escape(t["content"]) for t in spec.get("added_tokens", [])]
@@ -70,6 +69,10 @@ class Encoder:
         """Ids of a whole text as unsigned little-endian 32-bit numbers."""
         if self.fast is not None and not self.odd.search(text):
             return self.fast.encode_to_numpy(text, disallowed_special=()).astype("<u4", copy=False)
+        if self.slow is None:  # most workers never need it
+            from tokenizers import Tokenizer
+
+            self.slow = Tokenizer.from_file(self.path)
         return np.array(self.slow.encode(text, add_special_tokens=False).ids, dtype="<u4")
 
 
@@ -84,9 +87,6 @@ def _printable_octets() -> dict[str, int]:
     return {chr(b): b for b in shown} | {chr(256 + i): b for i, b in enumerate(rest)}
 
 
-_ENCODERS: dict[str, Encoder] = {}
-
-
 def default_tokenizer() -> str:
     import public_tokenizers
 
