@@ -31,6 +31,9 @@ HIDDEN, EPOCHS, BATCH, RATE, SEED = 24, 40, 256, 3e-3, 7
 #: Share of the sample held back to fit the temperature.
 HELD_BACK = 0.2
 
+#: Words whose neighbours are added up at once; bounds a worker's memory.
+AT_ONCE = 1 << 16
+
 #: A word: letters, digits, or a run of other marks, each by itself.
 _TOKEN = re.compile(rb"[A-Za-z\x80-\xff]+|[0-9]+|[^\sA-Za-z0-9\x80-\xff]+")
 
@@ -82,10 +85,10 @@ def context_vectors(docs: DataFrame, seed: int = SEED) -> np.ndarray:
         for batch in batches:
             for text in batch.column(0):
                 words = buckets_of(text.as_py())
-                for at in range(0, len(words), 1 << 18):
-                    held.append(words[at : at + (1 << 18)])  # a very long text in pieces
+                for at in range(0, len(words), AT_ONCE):
+                    held.append(words[at : at + AT_ONCE])  # a very long text in pieces
                     n += len(held[-1])
-                    if n >= 1 << 18:
+                    if n >= AT_ONCE:
                         add_contexts(total, held, index)
                         held, n = [], 0
         add_contexts(total, held, index)
