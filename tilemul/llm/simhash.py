@@ -241,6 +241,22 @@ def near_duplicates(
     )
 
 
+def survivors(docs: DataFrame, rows: DataFrame) -> DataFrame:
+    """One row of ``docs`` for each component in ``rows`` (doc_id, content, component).
+
+    It is the row of smallest doc_id, null last, then of smallest hash of the text (``content``).
+    All columns are kept as they are.
+    """
+    order = F.struct(F.col("doc_id").isNull().alias("none"), "doc_id", "content")
+    best = rows.groupBy("component").agg(F.min(order).alias("best"))
+    best = best.select("component", F.col("best.doc_id").alias("best_id"), F.col("best.content").alias("best_content"))
+    boxed = docs.select(
+        F.col("doc_id").cast("long").alias("id"), F.xxhash64(whole()).alias("content"), F.struct("*").alias("row")
+    )
+    same = F.col("id").eqNullSafe(F.col("best_id")) & (F.col("content") == F.col("best_content"))
+    return boxed.join(best, same).dropDuplicates(["component"]).select("row.*")
+
+
 def keep_one(docs: DataFrame, shingle: int = 3, max_distance: int = 3) -> DataFrame:
     """``docs`` with one document of each near-duplicate group: the one of smallest doc_id.
 
