@@ -99,3 +99,14 @@ def test_edges(docs_of):
     assert [r.component_id for r in rows] == [4, 4, 4]
     kept = simhash.keep_one(docs_of(["p q r s", "p q r s", "other words stand here now", None, ""], [7, 3, 5, 6, 8]))
     assert sorted(r.doc_id for r in kept.collect()) == [3, 5, 6] and "size" in kept.columns
+
+
+def test_keep_one_tells_rows_without_or_with_repeated_ids_apart(docs_of):
+    from tilemul.llm import nearcopies
+
+    words = [" ".join(f"{stem}{n}" for n in range(9)) for stem in "abcde"]
+    texts = [words[0], words[0], words[1], words[1], words[2], words[3], words[4], words[4]]
+    rows = docs_of(texts, [None, 5, None, 9, None, 7, 7, 7])
+    want = sorted([(5, words[0]), (9, words[1]), (-1, words[2]), (7, words[3]), (7, words[4])])
+    for keep in (simhash.keep_one, nearcopies.keep_one):
+        assert sorted((-1 if r.doc_id is None else r.doc_id, r.text) for r in keep(rows).collect()) == want

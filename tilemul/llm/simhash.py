@@ -258,13 +258,16 @@ def survivors(docs: DataFrame, rows: DataFrame) -> DataFrame:
 
 
 def keep_one(docs: DataFrame, shingle: int = 3, max_distance: int = 3) -> DataFrame:
-    """``docs`` with one document of each near-duplicate group: the one of smallest doc_id.
+    """``docs`` with one row of each near-duplicate group: the one of smallest doc_id, null last.
 
-    All columns are kept as they are. Rows that repeat a kept doc_id are reduced to one; rows
-    with a null doc_id count as one document whose id is the smallest long.
+    All columns are kept as they are. Groups are of rows, not of ids: rows with a null doc_id,
+    or with one that repeats, are told apart by their texts.
     """
-    key = F.coalesce(F.col("doc_id").cast("long"), F.lit(-(1 << 63)))
-    found = near_duplicates(docs.select(key.alias("doc_id"), "text"), shingle, max_distance)
-    kept = found.where("doc_id = component_id").select(F.col("doc_id").alias("id"))
-    boxed = docs.select(key.alias("id"), F.struct("*").alias("row"))
-    return boxed.join(kept, "id", "left_semi").dropDuplicates(["id"]).select("row.*")
+    rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.xxhash64(whole()).alias("content"), whole().alias("text"))
+    texts = cut(rows.groupBy("content").agg(F.first("text").alias("text")))
+    prints = cut(fingerprints(texts.select(F.col("content").alias("doc_id"), "text"), shingle))
+    roots = components(links(prints.select("fp").distinct(), max_distance)).distinct()
+    named = prints.join(roots, prints.fp == roots.node, "left").select(
+        F.col("doc_id").alias("content"), F.coalesce("root", "fp").alias("component")
+    )
+    return survivors(docs, rows.select("doc_id", "content").join(named, "content"))
