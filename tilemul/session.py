@@ -28,8 +28,18 @@ def settings(spark: SparkSession, **values: str) -> Iterator[None]:
 
 
 def scratch(spark: SparkSession) -> str:
-    """The shared folder for written intermediates: the cluster's, or our own where it names none."""
-    return spark.sparkContext.getConf().get("spark.checkpoint.dir") or tempfile.mkdtemp(prefix="tilemul-")
+    """The shared folder for written intermediates: the one that the cluster names.
+
+    Only a local master, where all tasks share one machine, gets a folder of our own when none
+    is named; elsewhere executors could not see it, so that is an error.
+    """
+    context = spark.sparkContext
+    folder = context.getConf().get("spark.checkpoint.dir") or context.getCheckpointDir()
+    if folder:
+        return folder
+    if not context.master.startswith("local"):
+        raise RuntimeError("spark.checkpoint.dir must name a folder that all executors share")
+    return tempfile.mkdtemp(prefix="tilemul-")
 
 
 def materialise(df: DataFrame) -> DataFrame:
