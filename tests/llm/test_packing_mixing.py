@@ -23,7 +23,7 @@ def test_encoder_equals_tokenizers():
 
 def test_pieces_and_packing(docs_of):
     docs = docs_of(TEXTS * 3)
-    rows = packing.pack(packing.cut(packing.pieces(docs)), pieces_per_partition=7).collect()
+    rows = packing.pack(packing.pieces(docs), pieces_per_partition=7).collect()
     encoder = packing.Encoder(packing.default_tokenizer())
     by_doc, by_sequence = {}, {}
     for r in rows:
@@ -34,7 +34,7 @@ def test_pieces_and_packing(docs_of):
         at = 0
         for n, r in enumerate(sorted(by_doc[i], key=lambda r: r.piece)):
             assert (r.piece, r.start) == (n, at) and (n == 0 or r.length == 1024)
-            assert r.ids_crc32 == zlib.crc32(ids[at : at + r.length].tobytes())
+            assert bytes(r.ids) == ids[at : at + r.length].tobytes()
             at += r.length
         assert at == len(ids)
     for part in by_sequence.values():
@@ -45,8 +45,30 @@ def test_pieces_and_packing(docs_of):
         assert end <= 1024
     best = -(-sum(r.length for r in rows) // 1024)
     assert best <= len(by_sequence) <= best + 2
-    with_ids = packing.pieces(docs_of(["hello world"]), with_ids=True).first()
-    assert with_ids.ids[-1] == 2 and len(with_ids.ids) == with_ids.length
+    digests = packing.pieces(docs).select("ids", packing.crc_of_ids()).collect()
+    assert all(r.ids_crc32 == zlib.crc32(bytes(r.ids)) for r in digests)
+
+
+def test_partitions_exchange_and_certify(spark):
+    rng = np.random.default_rng(11)
+    lengths = [int(n) for n in np.minimum(1024, rng.gamma(0.8, 300, 6000) + 1)]
+    some = spark.createDataFrame([(n,) for n in lengths], "length long")
+    rows = packing.pack(some, pieces_per_partition=400).collect()
+    assert sorted(r.length for r in rows) == sorted(lengths)
+    count = len({r.sequence_id for r in rows})
+    bound = packing.lower_bound(np.bincount(lengths, minlength=1025))
+    assert bound <= count <= bound + 2
+    parts = {}
+    for r in rows:
+        if r.length < 1024:
+            parts.setdefault((r["round"], r.sequence_id >> 27), []).append(r)
+    assert {k[0] for k in parts} >= {0, 1} and len([k for k in parts if k[0] == 0]) >= 10
+    for some_rows in parts.values():  # settled bins are among the partition's, the certificate holds for it
+        assert len({(r.part_bins, r.part_bound) for r in some_rows}) == 1
+        assert len({r.sequence_id for r in some_rows}) <= some_rows[0].part_bins >= some_rows[0].part_bound
+    # what partitions alone would need, without any exchange, is more
+    alone = packing.pack(some, pieces_per_partition=400, rounds=1).select("sequence_id").distinct().count()
+    assert alone >= count + 5
 
 
 def test_bounds_and_best_fit():
@@ -65,7 +87,7 @@ def test_bounds_and_best_fit():
 
 
 def test_empty_packing(docs_of):
-    assert packing.pack(packing.cut(packing.pieces(docs_of([])))).count() == 0
+    assert packing.pack(packing.pieces(docs_of([]))).count() == 0
 
 
 def brute_targets(sizes, weights, share, most):
@@ -115,13 +137,69 @@ def test_mix(docs_of):
         mine = by_source[s]
         assert mine[0].source_size == sum(r.size for r in mine) and mine[0].target == pytest.approx(t)
         assert abs(sum(r.taken for r in mine) - t) <= 1
-    mix = mixing.mix(docs, block=16)
-    per_doc = {r.doc_id: r.w for r in mix.groupBy("doc_id").agg(F.sum("words").alias("w")).collect()}
-    assert per_doc == {r.doc_id: r.taken for r in rows if r.taken}
+    plan = mixing.plan(docs, block=16)
+    drawn = mixing.with_draws(docs.select("doc_id", "text", "source"), plan).collect()
+    per_doc = {r.doc_id: sum(d.words for d in r.draws) for r in drawn}
+    assert per_doc == {r.doc_id: r.taken for r in rows}
+    # the tree decides: per source and shard the blocks drawn are those between the shard's ends
+    ends = {r.source_no: (r.ends, r.quota, r.blocks, r.passes) for r in plan.sources.collect()}
+    by_shard = {}
+    for r in drawn:
+        e, _, blocks, passes = ends[r.source_no]
+        for d in r.draws:
+            by_shard.setdefault((r.source_no, d.shard), set()).add((d["pass"], r.block))
+    for (s, shard), drawn_blocks in by_shard.items():
+        e = ends[s][0]
+        assert len(drawn_blocks) <= e[shard] - (e[shard - 1] if shard else 0)
+    for s, (e, quota, blocks, passes) in ends.items():
+        assert e[-1] == quota and passes * blocks <= quota <= (passes + 1) * blocks
+    sizes = np.diff(np.array([[0, *e] for e, *_ in ends.values()]), axis=1).sum(axis=0)
+    assert sizes.max() - sizes.min() <= 4  # shards of even size
     mixed = mixing.mixed(docs, block=16)
     assert mixed.columns == docs.columns
     lengths = {}
     for r in mixed.collect():
         lengths[r.doc_id] = lengths.get(r.doc_id, 0) + len(r.text.split())
-    assert lengths == per_doc
+    assert lengths == {i: n for i, n in per_doc.items() if n}
     assert mixing.taken_words(docs_of([])).count() == 0 and mixing.mixed(docs_of([])).count() == 0
+
+
+def test_without_the_tree_nothing_is_taken(docs_of, monkeypatch):
+    docs = docs_of(["a b c d"] * 5 + ["e f"] * 40, sources=["x"] * 20 + ["y"] * 25)
+    assert mixing.mixed(docs).count()
+    monkeypatch.setattr(mixing, "split_quotas", lambda quotas, shards, seed: np.zeros((shards, len(quotas)), np.int64))
+    assert mixing.mixed(docs).count() == 0
+
+
+def test_mix_of_repeated_rows_and_clashing_ids(docs_of, spark):
+    rows = docs_of(["a b c"] * 2, [1, 1], ["x", "y"])
+    want = {r.source: r for r in spark.createDataFrame([("x", 6.0), ("y", 3.0)], "source string, target double").collect()}
+    plan = mixing.taken_words(rows).collect()
+    assert sorted((r.size, r.source_size, r.target, r.taken) for r in plan) == sorted((3, 3, t.target, int(t.target)) for t in want.values())
+    got = mixing.mixed(rows).collect()
+    assert sorted((r.doc_id, r.text, r.source) for r in got) == [(1, "a b c", "x"), (1, "a b c", "x"), (1, "a b c", "y")]
+    # copies in one block share what is left evenly
+    many = docs_of(["w " * 10] * 30 + ["v " * 10] * 30, [7] * 30 + list(range(100, 130)), ["x"] * 30 + ["y"] * 30)
+    taken = {}
+    for r in mixing.taken_words(many, block=8).collect():
+        taken.setdefault(r.doc_id, []).append(r)
+    assert len({r.taken for r in taken[7]}) == 1 and abs(sum(r.taken for r in taken[7]) - taken[7][0].target) < 30
+    total = sum(len(r.text.split()) for r in mixing.mixed(many, block=8).collect())
+    assert total == sum(r.taken for rs in taken.values() for r in rs)
+
+
+def test_many_sources_without_broadcast(docs_of, monkeypatch):
+    texts = [" ".join(["w"] * (n % 17 + 1)) for n in range(200)]
+    docs = docs_of(texts, sources=[None if n % 50 == 0 else f"s{n % 40:02d}" for n in range(200)])
+    want = sorted(map(tuple, mixing.taken_words(docs, block=4).collect()))
+    monkeypatch.setattr(mixing, "BROADCAST_ROWS", 0)
+    monkeypatch.setattr(mixing, "CHUNK", 2)
+    assert sorted(map(tuple, mixing.taken_words(docs, block=4).collect())) == want
+    sizes = {}
+    for n, t in enumerate(texts):
+        s = None if n % 50 == 0 else f"s{n % 40:02d}"
+        sizes[s] = sizes.get(s, 0) + len(t.split())
+    order = sorted(s for s in sizes if s is not None) + [None]
+    targets = dict(zip(order, brute_targets([sizes[s] for s in order], (5, 2, 1), 1.5, 2)))
+    for r in mixing.with_draws(docs.select("doc_id", "text", "source"), mixing.plan(docs, block=4)).collect():
+        assert r.target == pytest.approx(targets[r.source])

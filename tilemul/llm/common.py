@@ -1,12 +1,12 @@
-"""What the corpus operators share: cutting lineage, reading tables, hot-key lists."""
+"""What the corpus operators share: cutting lineage, reading tables, joins with hot keys."""
 
 from __future__ import annotations
 
-import tempfile
-
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from ..session import materialise
+
 
 def read(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     """One table of a data folder; the path goes to Spark's reader unopened."""
@@ -14,17 +14,8 @@ def read(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 
 
 def cut(df: DataFrame) -> DataFrame:
-    """``df`` written once to the reliable checkpoint folder and read from there.
-
-    The folder is the one that the cluster names in ``spark.checkpoint.dir``; only where
-    that is unset (tests on one machine) a folder of our own is set.
-    """
-    context = df.sparkSession.sparkContext
-    if context.getCheckpointDir() is None:
-        context.setCheckpointDir(
-            context.getConf().get("spark.checkpoint.dir") or tempfile.mkdtemp(prefix="tilemul-")
-        )
-    return df.checkpoint(eager=True)
+    """``df`` written once to the reliable checkpoint folder and read from there; see ``session``."""
+    return materialise(df)
 
 
 def whole(name: str = "text") -> Column:
@@ -39,3 +30,29 @@ def lower_ascii(text: Column) -> Column:
 
 #: The repository's definition of a word: anything but ASCII white space.
 WORD = r"[^\x20\x09-\x0D]+"
+
+#: A key is hot where it holds more than one in so many of all rows: fewer than this many keys can.
+HOT_SHARE = 1000
+
+
+def hot_keys(df: DataFrame, key: str, share: int = HOT_SHARE) -> DataFrame:
+    """(key) of the keys that hold more than one row in ``share``: fewer than ``share`` rows.
+
+    Counted with map-side sums over all of ``df``; the bound on the rows does not depend on the
+    data, so the table may be broadcast.
+    """
+    sizes = cut(df.groupBy(key).agg(F.count("*").alias("n")))
+    total = sizes.agg(F.sum("n")).first()[0] or 0
+    return cut(sizes.where(F.col("n") * share > total).select(key))
+
+
+def join_hot(left: DataFrame, right: DataFrame, key: str, hot: DataFrame) -> DataFrame:
+    """Inner join of ``left`` with ``right``, which has one row per key.
+
+    Rows of hot keys stay where they are and meet a broadcast of fewer than ``HOT_SHARE`` rows;
+    the rest are joined by shuffle, so that no task gets all rows of a hot key.
+    """
+    few = right.join(F.broadcast(hot), key, "left_semi")
+    spread = left.join(F.broadcast(few), key)
+    rest = left.join(F.broadcast(hot), key, "left_anti").join(right, key)
+    return spread.unionByName(rest)

@@ -2,9 +2,10 @@
 
 Texts become token ids, longer documents are cut into full pieces, and only the remainders
 need packing. Every partition packs its own pieces by best-fit decreasing and certifies the
-number of bins with lower bounds from dual-feasible functions. Where a bound is missed, or a bin
-has much room, the pieces of such bins are exchanged between partitions and packed again, until
-one partition of bounded size is left or the rounds are over.
+number of bins with lower bounds from dual-feasible functions. Where a partition misses its bound
+all its bins with room are opened, elsewhere only bins with much room; the pieces of opened bins are
+exchanged between fewer partitions and packed again, until one partition of bounded size
+is left. Every sequence carries the certificate of the partition that settled it.
 """
 
 from __future__ import annotations
@@ -15,18 +16,19 @@ from collections.abc import Iterator
 import numpy as np
 import pandas as pd
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from .common import cut, whole
 
 SEQUENCE = 1024
 END_ID = 2
-#: Pieces that one partition packs: a few numbers each, so about 100 MB; larger partitions waste less.
-PIECES_PER_PARTITION = 400_000
-ROUNDS = 4
-
-
+#: Pieces that one partition packs: so few that even a small table has many partitions.
+PIECES_PER_PARTITION = 4000
+#: Rounds at most; each leaves the pieces of a few bins per partition, so few are ever needed.
+ROUNDS = 12
+#: A settled partition gives up bins with this share of room or more.
+ROOMY = 1 / 16
 
 class Encoder:
     """Ids of the byte-level BPE in a ``tokenizers`` file, the same as that library gives.
@@ -93,44 +95,42 @@ def default_tokenizer() -> str:
     return public_tokenizers.path("byte_bpe_50k.json")
 
 
-_PIECE_DDL = "doc_id long, piece int, start long, length long, ids_crc32 long"
+_PIECE_DDL = "doc_id long, piece int, start long, length long, ids binary"
 
 
-def pieces(
-    docs: DataFrame, tokenizer: str | None = None, sequence: int = SEQUENCE, with_ids: bool = False
-) -> DataFrame:
-    """(doc_id, piece, start, length, ids_crc32[, ids]) for every document of ``docs``.
+def pieces(docs: DataFrame, tokenizer: str | None = None, sequence: int = SEQUENCE) -> DataFrame:
+    """(doc_id, piece, start, length, ids BINARY) for every document of ``docs``.
 
-    A document is its token ids and the end id. One of more than ``sequence`` ids is cut into
-    pieces of that length, the first of which takes the remainder. A null or empty text is the
-    end id alone. Repeated rows each get their pieces; other columns are ignored.
+    A document is its token ids and the end id, as little-endian unsigned 32-bit numbers. One of more
+    than ``sequence`` ids is cut into pieces of that length, the first of which takes the remainder.
+    A null or empty text is the end id alone. Repeated rows each get their pieces; other columns
+    are ignored.
     """
     path = tokenizer or default_tokenizer()
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         encoder = Encoder(path)
         for batch in batches:
-            columns: list[list] = [[], [], [], [], [], []]
+            columns: list[list] = [[], [], [], [], []]
             for doc_id, text in zip(batch.column(0), batch.column(1)):
-                doc_id, ids = doc_id.as_py(), np.append(encoder.ids(text.as_py()), np.uint32(END_ID))
+                doc_id, ids = doc_id.as_py(), np.append(encoder.ids(text.as_py()), np.uint32(END_ID)).astype("<u4")
                 first = len(ids) % sequence or sequence
                 ends = [first, *range(first + sequence, len(ids) + 1, sequence)]
                 for n, end in enumerate(ends):
                     start = ends[n - 1] if n else 0
-                    part = ids[start:end].astype("<u4")
-                    row = (doc_id, n, start, end - start, zlib.crc32(part.tobytes()), part if with_ids else None)
-                    for column, value in zip(columns, row):
+                    for column, value in zip(columns, (doc_id, n, start, end - start, ids[start:end].tobytes())):
                         column.append(value)
-            kinds = [pa.int64(), pa.int32(), pa.int64(), pa.int64(), pa.int64(), pa.list_(pa.int64())]
-            take = 6 if with_ids else 5
+            kinds = [pa.int64(), pa.int32(), pa.int64(), pa.int64(), pa.binary()]
             yield pa.RecordBatch.from_arrays(
-                [pa.array(c, k) for c, k in zip(columns[:take], kinds)],
-                ["doc_id", "piece", "start", "length", "ids_crc32", "ids"][:take],
+                [pa.array(c, k) for c, k in zip(columns, kinds)], ["doc_id", "piece", "start", "length", "ids"]
             )
 
-    return docs.select(F.col("doc_id").cast("long"), whole().alias("text")).mapInArrow(
-        run, _PIECE_DDL + (", ids array<long>" if with_ids else "")
-    )
+    return docs.select(F.col("doc_id").cast("long"), whole().alias("text")).mapInArrow(run, _PIECE_DDL)
+
+
+def crc_of_ids() -> Column:
+    """The digest of a piece's ids: CRC-32 of their octets, unsigned."""
+    return F.crc32("ids").alias("ids_crc32")
 
 
 def lower_bound(counts: np.ndarray, sequence: int = SEQUENCE) -> int:
@@ -181,16 +181,14 @@ def best_fit_decreasing(lengths: np.ndarray, sequence: int = SEQUENCE) -> tuple[
     return bins, offsets, np.array(rooms, dtype=np.int64)
 
 
-_PACKED_DDL = (
-    _PIECE_DDL + ", part int, bin long, offset long, room long, bins long, bound long"
-)
+_PACKED_DDL = "row long, length long, part int, bin long, offset long, room long, bins long, bound long"
 
 
 def _pack_partitions(parts: DataFrame, sequence: int) -> DataFrame:
     """Each partition packed by itself, with its number of bins and its certified bound."""
 
     def run(rows: pd.DataFrame) -> pd.DataFrame:
-        rows = rows.sort_values(["length", "doc_id", "piece", "ids_crc32"], ascending=[False, True, True, True])
+        rows = rows.sort_values(["length", "row"], ascending=[False, True])
         lengths = rows["length"].to_numpy(np.int64)
         bins, offsets, rooms = best_fit_decreasing(lengths, sequence)
         bound = lower_bound(np.bincount(lengths, minlength=sequence + 1), sequence)
@@ -200,48 +198,46 @@ def _pack_partitions(parts: DataFrame, sequence: int) -> DataFrame:
 
 
 def pack(
-    cut_pieces: DataFrame,
+    some: DataFrame,
     sequence: int = SEQUENCE,
     pieces_per_partition: int = PIECES_PER_PARTITION,
     rounds: int = ROUNDS,
 ) -> DataFrame:
-    """``pieces`` with sequence_id and offset: as few sequences as the exchange rounds find.
-
-    Full pieces are sequences of their own. A partition whose number of bins matches its bound
-    is settled but for bins with much free room; from other partitions all bins with any room
-    are opened. The pieces of opened bins go, over fewer partitions, into the next round. Ties and repeated rows are pieces of their own; an
-    empty table gives an empty result.
+    """``some`` pieces with sequence_id, offset, round, part_bins and part_bound, in as few sequences as found.
+
+    ``some`` has a column ``length`` from 1 to ``sequence``; all its columns stay. Full pieces are
+    sequences of their own. The rest is dealt to partitions at random and packed; a partition
+    that reaches its bound keeps all its bins but roomy ones, another one only its full bins, and
+    the others' pieces go, over fewer partitions, into the next round. ``round`` says when a sequence
+    was settled, ``part_bins`` and ``part_bound`` are the bins and the lower bound of its partition
+    then. Ties and repeated rows are pieces of their own; an empty table gives an empty result.
     """
-    full = cut_pieces.where(F.col("length") == sequence)
-    rest = cut_pieces.where(F.col("length") < sequence)
-    n = rest.count()
-    done: list[DataFrame] = []
+    kept = cut(some.withColumn("row", F.monotonically_increasing_id()))
+    rest = kept.where(F.col("length") < sequence).select("row", "length")
+    done: DataFrame | None = None
     for round_no in range(rounds):
+        n = rest.count()
+        if n == 0:
+            break
         parts = max(1, -(-n // pieces_per_partition))
-        spread = F.xxhash64("doc_id", "piece", "start", "ids_crc32", F.lit(round_no))
-        packed = cut(
-            _pack_partitions(
-                rest.select("doc_id", "piece", "start", "length", "ids_crc32", F.pmod(spread, F.lit(parts)).cast("int").alias("part")),
-                sequence,
-            )
-        )
+        part = F.pmod(F.xxhash64("row", F.lit(round_no)), F.lit(parts)).cast("int")
+        packed = cut(_pack_partitions(rest.select("row", "length", part.alias("part")), sequence))
         last = parts == 1 or round_no == rounds - 1
-        opened = (F.col("room") > 0) & (
-            (F.col("bins") > F.col("bound")) | (F.col("room") >= sequence // 8)
-        )
-        settled = packed if last else packed.where(~opened)
-        done.append(settled.withColumn("round", F.lit(round_no)))
+        opened = (F.col("room") > 0) & ((F.col("bins") > F.col("bound")) | (F.col("room") >= sequence * ROOMY))
+        settled = (packed if last else packed.where(~opened)).withColumn("round", F.lit(round_no))
+        done = settled if done is None else done.unionByName(settled)
         if last:
             break
-        rest = packed.where(opened).select("doc_id", "piece", "start", "length", "ids_crc32")
-        n = rest.count()
-        if n == 0:
-            break
-    out = done[0]
-    for more in done[1:]:
-        out = out.unionByName(more)
-    # a sequence's number: round and partition above, bin below; full pieces are negative
-    number = F.shiftleft(F.col("round").cast("long"), 58) + F.shiftleft(F.col("part").cast("long"), 32) + F.col("bin")
-    columns = ["doc_id", "piece", "start", "length", "ids_crc32"]
-    alone = full.select(*columns, (-1 - F.monotonically_increasing_id()).alias("sequence_id"), F.lit(0).cast("long").alias("offset"))
-    return out.select(*columns, number.alias("sequence_id"), "offset").unionByName(alone)
+        rest = packed.where(opened).select("row", "length")
+    certificate = ["sequence_id", "offset", "round", "part_bins", "part_bound"]
+    # a full piece is settled before the first round; its number is negative, all others' are not
+    alone = kept.where(F.col("length") == sequence).select(
+        *some.columns, (-1 - F.col("row")).alias("sequence_id"), F.lit(0).cast("long").alias("offset"),
+        F.lit(-1).alias("round"), F.lit(1).cast("long").alias("part_bins"), F.lit(1).cast("long").alias("part_bound"),
+    )
+    if done is None:
+        return alone
+    # a sequence's number: round and partition above, bin below
+    number = F.shiftleft(F.col("round").cast("long"), 58) + F.shiftleft(F.col("part").cast("long"), 27) + F.col("bin")
+    placed = done.select("row", number.alias("sequence_id"), "offset", "round", F.col("bins").alias("part_bins"), F.col("bound").alias("part_bound"))
+    return kept.where(F.col("length") < sequence).join(placed, "row").select(*some.columns, *certificate).unionByName(alone)

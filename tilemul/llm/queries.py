@@ -6,7 +6,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from . import chat, fingerprints, licenses, mixing, packing, pii, quality, simhash, topk, urlfilter
-from .common import cut, read
+from .common import read
 
 
 def op1_winnowing(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -32,8 +32,9 @@ def op4_topk(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op5_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """All documents' pieces in sequences of 1024 tokens."""
-    return packing.pack(cut(packing.pieces(read(spark, sf_dir, "documents"))))
+    """All documents' pieces in sequences of 1024 tokens, with the certificates of their partitions."""
+    found = packing.pieces(read(spark, sf_dir, "documents"))
+    return packing.pack(found.select("doc_id", "piece", "start", "length", packing.crc_of_ids()))
 
 
 def op6_chat(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -92,20 +93,20 @@ _RULES = " UNION ALL ".join(
 
 ORACLES = {
     "op4_topk": """
-WITH parts AS (
-  SELECT vec_id, generate_subscripts(embedding, 1) AS i, unnest(embedding) AS x
-  FROM embeddings
-  WHERE embedding IS NOT NULL AND vec_id IS NOT NULL
+WITH numbered AS (
+  SELECT row_number() OVER () AS row, vec_id, embedding FROM embeddings WHERE embedding IS NOT NULL AND vec_id IS NOT NULL
+), parts AS (
+  SELECT row, vec_id, generate_subscripts(embedding, 1) AS i, unnest(embedding) AS x FROM numbered
 ), whole AS (
-  SELECT vec_id FROM parts GROUP BY vec_id HAVING count(*) = count(x) AND bool_and(isfinite(x))
+  SELECT row FROM parts GROUP BY row HAVING count(*) = count(x) AND bool_and(isfinite(x))
 ), v AS (
-  SELECT vec_id, i, CAST(floor(64 * CAST(x AS DOUBLE)) AS BIGINT) AS x FROM parts SEMI JOIN whole USING (vec_id)
+  SELECT row, vec_id, i, CAST(floor(64 * CAST(x AS DOUBLE)) AS BIGINT) AS x FROM parts SEMI JOIN whole USING (row)
 ), scores AS (
-  SELECT q.vec_id AS query_id, c.vec_id AS vec_id, CAST(sum(q.x * c.x) AS BIGINT) AS score
-  FROM v q JOIN v c ON q.i = c.i AND q.vec_id <> c.vec_id
+  SELECT q.row AS query_row, c.row AS row, any_value(q.vec_id) AS query_id, any_value(c.vec_id) AS vec_id, CAST(sum(q.x * c.x) AS BIGINT) AS score
+  FROM v q JOIN v c ON q.i = c.i AND q.row <> c.row
   WHERE q.vec_id % 20 = 0 GROUP BY 1, 2
 ), ranked AS (
-  SELECT query_id, CAST(row_number() OVER (PARTITION BY query_id ORDER BY score DESC, vec_id) AS INTEGER) AS rank, vec_id, score
+  SELECT query_id, CAST(row_number() OVER (PARTITION BY query_row ORDER BY score DESC, vec_id) AS INTEGER) AS rank, vec_id, score
   FROM scores
 )
 SELECT query_id, rank, vec_id, score FROM ranked WHERE rank <= 20

@@ -30,8 +30,6 @@ QUERY_BLOCK, CANDIDATE_BLOCK = 4096, 8192
 SALTS = 24
 #: Segments of the coarse and the fine level.
 LEVELS = (4, 16)
-#: Quantized components stop here, so that an inner product of up to 2048 fits a long.
-LIMIT = 1 << 26
 _AT_ONCE = 256
 #: Share of pairs above which survivors of the coarse bound are computed as one product.
 DENSE = 0.05
@@ -54,41 +52,76 @@ class Segments:
         self.weighted = self.both * np.concatenate([lengths, lengths])
 
 
+#: Doubles hold whole numbers up to here, and longs up to there, without rounding.
+_DOUBLE, _LONG = 2.0**52, 2.0**62
+
+
+class _Exact:
+    """Inner products of whole numbers, by the narrowest arithmetic that does not round.
+
+    Vectors are doubles that hold whole numbers. Where sums of products fit doubles, doubles are
+    used, else longs, else Python's integers of any size. A score that a caller is given must
+    fit a long; one that does not is an error.
+    """
+
+    def __init__(self, asked: np.ndarray, points: np.ndarray) -> None:
+        self.most = float(np.abs(points).max(initial=0)) * float(np.abs(asked).max(initial=0)) * max(1, points.shape[1])
+        self.kind = np.dtype(float) if self.most < _DOUBLE else np.dtype(np.int64) if self.most < _LONG else np.dtype(object)
+        self.asked, self.points = self._as(asked), self._as(points)
+
+    def _as(self, x: np.ndarray) -> np.ndarray:
+        if self.kind != object:
+            return x.astype(self.kind)
+        return np.array([[int(v) for v in row] for row in x.tolist()], dtype=object).reshape(x.shape)
+
+    def pairs(self, q: np.ndarray, c: np.ndarray) -> np.ndarray:
+        """Scores of pairs (query row, candidate row)."""
+        if self.kind != object:
+            out = np.empty(len(q), dtype=np.int64)
+            for at in range(0, len(q), 1 << 16):
+                part = slice(at, at + (1 << 16))
+                out[part] = np.einsum("pd,pd->p", self.asked[q[part]], self.points[c[part]])
+            return out
+        return np.array([int(self.asked[i] @ self.points[j]) if self.points.shape[1] else 0 for i, j in zip(q.tolist(), c.tolist())], dtype=object)
+
+    def product(self, first: int, last: int) -> np.ndarray:
+        return (self.asked[first:last] @ self.points.T).astype(np.int64)
+
+
 def best_of_block(
-    query_ids: np.ndarray, queries: np.ndarray, ids: np.ndarray, vectors: np.ndarray, k: int = K, levels: tuple[int, ...] = LEVELS
+    query_rows: np.ndarray, queries: np.ndarray, rows: np.ndarray, ids: np.ndarray, vectors: np.ndarray, k: int = K, levels: tuple[int, ...] = LEVELS
 ) -> Iterator[tuple[int, np.ndarray, np.ndarray]]:
-    """(query id, ids, scores) of the k best of a block for each query, ties to smaller ids.
+    """(query row, ids, scores) of the k best of a block for each query, ties to smaller ids.
 
-    Integer vectors; a candidate of the query's own id takes no part.
+    Vectors are doubles that hold whole numbers; ``rows`` number vectors, since ids may repeat, and
+    the candidate of the query's own row takes no part.
     """
     order = np.argsort(ids, kind="stable")
-    ids, exact = ids[order], vectors[order].astype(np.int64)
-    points, asked = exact.astype(float), queries.astype(float)
-    most = float(np.abs(points).max(initial=0)) * float(np.abs(asked).max(initial=0)) * max(1, points.shape[1])
-    floats = most < 2.0**52  # then sums of products are exact in doubles
+    rows, ids, points = rows[order], ids[order], vectors[order].astype(float)
+    asked = queries.astype(float)
+    exact = _Exact(asked, points)
     theirs = [Segments(points, n) for n in levels]
-    slack = 1e-9 * (1.0 + most)
+    slack = 1e-9 * (1.0 + exact.most)
     for at in range(0, len(asked), _AT_ONCE):
-        some, some_exact = asked[at : at + _AT_ONCE], queries[at : at + _AT_ONCE].astype(np.int64)
+        some = asked[at : at + _AT_ONCE]
         mine = [Segments(some, n) for n in levels]
-        own = query_ids[at : at + _AT_ONCE, None] == ids[None, :]
+        own = query_rows[at : at + _AT_ONCE, None] == rows[None, :]
         bound = mine[0].weighted @ theirs[0].both.T
         bound[own] = -np.inf
         # the k best by bound give a first k-th score
         take = min(k + 1, len(ids))
         lead = np.argpartition(-bound, take - 1, axis=1)[:, :take]
-        scored = np.einsum("qd,qcd->qc", some, points[lead]) if floats else np.einsum("qd,qcd->qc", some_exact, exact[lead]).astype(float)
+        scored = np.einsum("qd,qcd->qc", some, points[lead])
         scored[np.take_along_axis(own, lead, 1)] = -np.inf
         least = np.sort(scored, axis=1)[:, ::-1][:, min(k, take) - 1] if take >= k else np.full(len(some), -np.inf)
-        if not floats:
-            least = least - slack
-        alive = (bound >= (least - slack)[:, None]) & ~own
-        if np.count_nonzero(alive) > DENSE * alive.size:
+        least = least - 2 * slack
+        alive = (bound >= least[:, None]) & ~own
+        if exact.kind != object and np.count_nonzero(alive) > DENSE * alive.size:
             # little is pruned: one product of matrices is cheaper than pairs one by one
-            whole = some @ points.T if floats else some_exact @ exact.T
+            whole = exact.product(at, at + len(some))
             for q in range(len(some)):
                 at_c = np.flatnonzero(alive[q])
-                yield int(query_ids[at + q]), *_first(ids[at_c], whole[q, at_c].astype(np.int64), k)
+                yield int(query_rows[at + q]), *_first(ids[at_c], whole[q, at_c], k)
             continue
         alive_q, alive_c = np.nonzero(alive)
         for my, their in zip(mine[1:], theirs[1:]):
@@ -96,21 +129,22 @@ def best_of_block(
             for part in range(0, len(alive_q), 1 << 16):
                 s = slice(part, part + (1 << 16))
                 fine[s] = np.einsum("ps,ps->p", my.weighted[alive_q[s]], their.both[alive_c[s]])
-            keep = fine >= least[alive_q] - slack
+            keep = fine >= least[alive_q]
             alive_q, alive_c = alive_q[keep], alive_c[keep]
-        scores = np.empty(len(alive_q), dtype=np.int64)
-        for part in range(0, len(alive_q), 1 << 16):
-            s = slice(part, part + (1 << 16))
-            left, right = (some, points) if floats else (some_exact, exact)
-            scores[s] = np.einsum("pd,pd->p", left[alive_q[s]], right[alive_c[s]])
+        scores = exact.pairs(alive_q + at, alive_c)
         ends = np.searchsorted(alive_q, np.arange(len(some) + 1))
         for q in range(len(some)):
             own_part = slice(ends[q], ends[q + 1])
-            yield int(query_ids[at + q]), *_first(ids[alive_c[own_part]], scores[own_part], k)
+            yield int(query_rows[at + q]), *_first(ids[alive_c[own_part]], scores[own_part], k)
 
 
 def _first(ids: np.ndarray, scores: np.ndarray, k: int) -> tuple[np.ndarray, np.ndarray]:
     """The k best of scores whose ids are in order, ties to smaller ids."""
+    if scores.dtype == object:
+        top = np.array(sorted(range(len(scores)), key=lambda n: -scores[n])[:k], dtype=int)
+        if any(not -(1 << 63) <= s < 1 << 63 for s in scores[top]):
+            raise OverflowError("an inner product among the best does not fit a 64-bit score")
+        return ids[top], scores[top].astype(np.int64)
     if len(scores) > k:
         least = np.partition(scores, len(scores) - k)[len(scores) - k]
         near = np.flatnonzero(scores >= least)
@@ -119,88 +153,104 @@ def _first(ids: np.ndarray, scores: np.ndarray, k: int) -> tuple[np.ndarray, np.
     return ids[top], scores[top]
 
 
-def quantized(vectors: DataFrame, scale: int = SCALE) -> DataFrame:
-    """(vec_id, v ARRAY<INT>): floor(scale * x) of the vectors that take part, one per id."""
+def taking_part(vectors: DataFrame) -> DataFrame:
+    """(row, vec_id, v): numbered vectors without those null or holding null or non-finite components."""
     finite = F.forall("embedding", lambda x: F.coalesce(F.abs(x) < F.lit(float("inf")), F.lit(False)) & ~F.isnan(x))
-    scaled = F.transform(
-        "embedding",
-        lambda x: F.least(F.lit(float(LIMIT)), F.greatest(F.lit(-float(LIMIT)), x.cast("double") * scale)),
-    )
     return (
-        vectors.select(F.col("vec_id").cast("long").alias("vec_id"), "embedding")
-        .where(F.col("vec_id").isNotNull() & F.col("embedding").isNotNull() & finite)
-        .select("vec_id", F.transform(scaled, lambda x: F.floor(x).cast("int")).alias("v"))
-        .groupBy("vec_id")
-        .agg(F.min("v").alias("v"))
+        vectors.select(F.col("vec_id").cast("long").alias("vec_id"), F.col("embedding").alias("v"), finite.alias("finite"))
+        .where(F.col("vec_id").isNotNull() & F.col("v").isNotNull() & F.col("finite"))
+        .select(F.monotonically_increasing_id().alias("row"), "vec_id", "v")
     )
 
 
-_BLOCK_DDL = "block int, dim int, ids binary, vectors binary"
+_BLOCK_DDL = "block int, dim int, rows binary, ids binary, vectors binary"
+
+
+def _packed(matrix: np.ndarray) -> bytes:
+    """Whole numbers as 32-bit integers where they fit, else as doubles."""
+    if np.abs(matrix).max(initial=0) < 1 << 31:
+        return matrix.astype("<i4").tobytes()
+    return matrix.astype("<f8").tobytes()
+
+
+def _unpacked(octets: bytes, count: int, dim: int) -> np.ndarray:
+    wide = len(octets) > 4 * count * dim
+    return np.frombuffer(octets, "<f8" if wide else "<i4").reshape(count, dim)
 
 
-def _blocks(vectors: DataFrame, blocks: int) -> DataFrame:
-    """Vectors packed into rows, dealt by id; a block has one row for each dimension in it."""
+def _blocks(vectors: DataFrame, blocks: int, scale: int) -> DataFrame:
+    """Vectors floor(scale * x) packed into rows, dealt at random; one row for each dimension in a block."""
 
     def run(rows: pd.DataFrame) -> pd.DataFrame:
         dims = rows["v"].map(len)
         packed = []
         for dim, some in rows.groupby(dims):
-            matrix = np.concatenate(some["v"].to_list()).astype("<i4") if dim else np.zeros(0, "<i4")
-            packed.append((rows["block"].iloc[0], dim, some["vec_id"].to_numpy("<i8").tobytes(), matrix.tobytes()))
-        return pd.DataFrame(packed, columns=["block", "dim", "ids", "vectors"])
+            matrix = np.concatenate(some["v"].to_list()).astype(float) if dim else np.zeros(0)
+            scaled = np.floor(matrix * scale)
+            if not np.isfinite(scaled).all():
+                raise OverflowError("a scaled component does not fit a double")
+            packed.append(
+                (rows["block"].iloc[0], dim, some["row"].to_numpy("<i8").tobytes(), some["vec_id"].to_numpy("<i8").tobytes(), _packed(scaled))
+            )
+        return pd.DataFrame(packed, columns=["block", "dim", "rows", "ids", "vectors"])
 
-    dealt = vectors.withColumn("block", F.pmod(F.xxhash64("vec_id"), F.lit(blocks)).cast("int"))
+    dealt = vectors.withColumn("block", F.pmod(F.xxhash64("row"), F.lit(blocks)).cast("int"))
     return dealt.groupBy("block").applyInPandas(run, _BLOCK_DDL)
 
 
 def top_k(vectors: DataFrame, is_query: str, k: int = K, scale: int = SCALE, levels: tuple[int, ...] = LEVELS) -> DataFrame:
     """(query_id, rank, vec_id, score): the ``k`` best inner products of every query.
 
-    ``is_query``: SQL condition on vec_id. Candidates are all other vectors of the same
-    dimension; ties go to the smaller vec_id. Vectors null or with null or non-finite
-    components, and rows with a null id, take no part. Rows that repeat an id are one vector,
-    the smallest. Fewer than ``k`` candidates: all of them. An empty table gives an empty
-    result. Other columns are ignored.
+    ``is_query``: SQL condition on vec_id. Candidates are all other rows of the same dimension,
+    also such as repeat the query's id; ties go to the smaller vec_id. A query id that repeats
+    has the results of each of its rows. Vectors null or with null or non-finite
+    components, and rows with a null id, take no part. Fewer than ``k`` candidates: all of them.
+    Scores are exact for components of any size; one that does not fit a long is an error. An
+    empty table gives an empty result. Other columns are ignored.
     """
-    rows = cut(quantized(vectors, scale))
+    rows = cut(taking_part(vectors))
     n, asked = rows.agg(F.count("*"), F.count_if(F.expr(is_query))).first()
     query_blocks = max(1, -(-asked // QUERY_BLOCK))
-    candidates = _blocks(rows, max(1, -(-n // CANDIDATE_BLOCK))).select(
+    candidates = _blocks(rows, max(1, -(-n // CANDIDATE_BLOCK)), scale).select(
         F.explode(F.sequence(F.lit(0), F.lit(query_blocks - 1))).alias("query_block"),
         F.pmod("block", F.lit(SALTS)).cast("int").alias("salt"),
         "dim",
+        "rows",
         "ids",
         "vectors",
     )
-    queries = _blocks(rows.where(is_query), query_blocks).select(
+    queries = _blocks(rows.where(is_query), query_blocks, scale).select(
         F.col("block").alias("query_block"),
         F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1))).alias("salt"),
         "dim",
+        F.col("rows").alias("query_rows"),
         F.col("ids").alias("query_ids"),
         F.col("vectors").alias("queries"),
     )
+    names = ("dim", "rows", "ids", "vectors", "query_rows", "query_ids", "queries")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for i in range(batch.num_rows):
-                row = {name: batch.column(name)[i].as_py() for name in ("dim", "ids", "vectors", "query_ids", "queries")}
-                ids, query_ids = np.frombuffer(row["ids"], "<i8"), np.frombuffer(row["query_ids"], "<i8")
-                matrix = np.frombuffer(row["vectors"], "<i4").reshape(len(ids), row["dim"])
-                asked_matrix = np.frombuffer(row["queries"], "<i4").reshape(len(query_ids), row["dim"])
-                found = list(best_of_block(query_ids, asked_matrix, ids, matrix, k, levels))
+                row = {name: batch.column(name)[i].as_py() for name in names}
+                numbers, ids, query_rows, query_ids = (np.frombuffer(row[c], "<i8") for c in ("rows", "ids", "query_rows", "query_ids"))
+                matrix = _unpacked(row["vectors"], len(ids), row["dim"])
+                asked_matrix = _unpacked(row["queries"], len(query_ids), row["dim"])
+                found = list(best_of_block(query_rows, asked_matrix, numbers, ids, matrix, k, levels))
                 counts = [len(c) for _, c, _ in found]
                 yield pa.RecordBatch.from_arrays(
                     [
                         pa.array(np.repeat([q for q, _, _ in found], counts).astype(np.int64)),
+                        pa.array(np.repeat(query_ids, counts)),
                         pa.array(np.concatenate([c for _, c, _ in found])),
                         pa.array(np.concatenate([s for _, _, s in found])),
                     ],
-                    ["query_id", "vec_id", "score"],
+                    ["query_row", "query_id", "vec_id", "score"],
                 )
 
     pairs = candidates.join(queries, ["query_block", "salt", "dim"])
-    partial = pairs.mapInArrow(run, "query_id long, vec_id long, score long")
-    best = Window.partitionBy("query_id").orderBy(F.desc("score"), "vec_id")
+    partial = pairs.mapInArrow(run, "query_row long, query_id long, vec_id long, score long")
+    best = Window.partitionBy("query_row").orderBy(F.desc("score"), "vec_id")
     return (
         partial.withColumn("rank", F.row_number().over(best)).where(F.col("rank") <= k).select("query_id", "rank", "vec_id", "score")
     )
