@@ -117,12 +117,12 @@ def brute_scores(edges, seeds):
 
 def test_graph_scores_equal_brute_force(docs_of):
     rng = random.Random(12)
-    values = [f"id{n}@ab.cd" if n < 25 else f"code{n}-77{n}" for n in range(80)]
+    values = [f"id{n}@ab.cd" if n < 50 else f"code{n}-77{n}" for n in range(80)]
     contexts = [("red fox", "ran"), ("old owl", "sat"), ("big dog", "lay"), ("new cat", "hid")]
     texts = []
     for n, v in enumerate(values):
         for c in rng.sample(contexts, 2):
-            if n >= 25 and rng.random() < 0.5:
+            if n >= 50 and rng.random() < 0.5:
                 texts.append(f"{n}x some other words {v} end{n}")
             else:
                 texts.append(f"{c[0]} {v} {c[1]}")
