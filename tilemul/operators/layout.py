@@ -140,3 +140,57 @@ def tile_product(a: Tiled, b: Tiled, ring: str = "plus_times") -> Matrix:
     from ..functions.semirings import semiring
 
     return Matrix(parts.groupBy("i", "j").agg(semiring(ring).plus(F.col("v")).alias("v")), a.rows, b.cols)
+
+
+def tile_product_c(a: Tiled, b: Tiled, grid: GridSpec, ring: str = "plus_times", offset: bool = True) -> Matrix:
+    """C by local kernels with a stationary C: each worker walks its C tiles in schedule order.
+
+    Tiles of A and B go to the owner of each C tile that needs them. Both carry the step at which
+    the schedule wants them, which starts at the sum of the C tile's indices where ``offset`` is set;
+    the join on it hands the kernel pair after pair in that order, while later batches
+    are fetched ahead. A worker holds one pair and the C tile it adds to.
+    """
+    if a.cols != b.rows or a.tile_cols != b.tile_rows:
+        raise ValueError("inner dimensions or tiles do not fit")
+    kind = a.value_type
+    arrow = _ARROW[kind]
+    height, width, inner = a.tile_rows, b.tile_cols, -(-a.cols // a.tile_cols)
+    start = F.col("ti") + F.col("tj") if offset else F.lit(0)
+    every = lambda n: F.explode(F.sequence(F.lit(0), F.lit(n - 1)))
+    cells = ("row_ptr", "col_idx", "vals", "ncols")
+    left = a.df.withColumn("tj", every(-(-b.cols // width))).withColumn("step", F.pmod(F.col("tk") - start, F.lit(inner)))
+    right = b.df.select(F.col("ti").alias("tk"), F.col("tk").alias("tj"), *cells).withColumn("ti", every(-(-a.rows // height)))
+    right = right.withColumn("step", F.pmod(F.col("tk") - start, F.lit(inner)))
+    keys = ["owner", "ti", "tj", "step"]
+
+    def placed(tiles: DataFrame, side: str) -> DataFrame:
+        owned = tiles.withColumn("owner", grid.owner("ti", "tj")).repartitionById(grid.workers, F.col("owner"))
+        return owned.select(*keys, *(F.col(c).alias(f"{side}_{c}") for c in cells))
+
+    def arrays(batch: pa.RecordBatch, n: int, side: str) -> kernels.Csr:
+        take = lambda c: batch.column(f"{side}_{c}")[n].values.to_numpy(zero_copy_only=False)
+        return kernels.Csr(take("row_ptr"), take("col_idx"), take("vals"), batch.column(f"{side}_ncols")[n].as_py())
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        at, so_far = None, None
+
+        def finished() -> pa.RecordBatch:
+            rows, cols, vals = so_far
+            i, j = rows.astype(np.int64) + at[0] * height, cols.astype(np.int64) + at[1] * width
+            return pa.RecordBatch.from_arrays([pa.array(i), pa.array(j), pa.array(vals, arrow)], ["i", "j", "v"])
+
+        for batch in batches:
+            for n in range(batch.num_rows):
+                tile = (batch.column("ti")[n].as_py(), batch.column("tj")[n].as_py())
+                if at is not None and tile != at:
+                    yield finished()
+                    so_far = None
+                at, right_tile = tile, arrays(batch, n, "b")
+                part = kernels.csr_csr(arrays(batch, n, "a"), right_tile, ring)
+                so_far = part if so_far is None else kernels.add_tiles([so_far, part], right_tile.cols, ring)
+        if at is not None:
+            yield finished()
+
+    # a merge join sorts both sides by the keys, so a C tile's pairs come together and in step order
+    pairs = placed(left, "a").hint("merge").join(placed(right, "b"), keys)
+    return Matrix(pairs.mapInArrow(run, f"i long, j long, v {kind}"), a.rows, b.cols)

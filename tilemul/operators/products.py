@@ -9,6 +9,8 @@ no inner step waits for all workers, and "lockstep" means one job and one barrie
 
 from __future__ import annotations
 
+import random
+
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -19,6 +21,8 @@ from ..session import materialise
 
 #: Operands up to so many stored entries may be broadcast (24 bytes each: about 100 MB).
 BROADCAST_ENTRIES = 4_000_000
+#: Rows of a table of work units or claims that may be broadcast (50 bytes each); more are joined by shuffle.
+BROADCAST_UNITS = 1_000_000
 
 
 def check_shapes(a: Matrix, b: Matrix) -> None:
@@ -142,36 +146,75 @@ def layout_3d(a: Matrix, b: Matrix, grid: GridSpec, ring: str = "plus_times") ->
 def lockstep(a: Matrix, b: Matrix, grid: GridSpec, stationary: str = "c", ring: str = "plus_times") -> Matrix:
     """The bulk-synchronous baseline: one step per inner tile, a barrier after each.
 
-    Every step multiplies one panel of A by one panel of B and writes the sum so far to
-    reliable storage, which all workers wait for. With a stationary A or B the step's partial
-    sums are reduced before they meet C, in place of a panel going round. The number of
-    workers must be a square.
+    A step sends its panel of A along the rows of the worker grid and its panel of B along the
+    columns; every worker multiplies what it got and writes the step's part of C once to reliable
+    storage, which all workers wait for. With a stationary A or B that operand is placed once and the
+    step's partial sums are reduced at the owners of C in place of a panel going round. Parts are
+    added up at the end, without moving where C is stationary. The number of workers must be a square.
     """
     check_shapes(a, b)
     if not grid.square:
         raise ValueError("lockstep needs a square grid of workers")
     if stationary not in ("a", "b", "c"):
         raise ValueError(f"no stationary operand {stationary!r}")
-    r = semiring(ring)
+    r, p = semiring(ring), grid.workers
     left, right = _left(a, grid), _right(b, grid)
-    steps = grid.gn if stationary == "a" else grid.gm if stationary == "b" else grid.gk
+    place = {"c": grid.owner("ti", "tj"), "a": grid.owner("ti", "tk"), "b": grid.owner("tk", "tj")}[stationary]
+    if stationary == "a":  # placed once, in storage: later steps read it where it lies
+        left = materialise(left.withColumn("owner", place).repartitionById(p, F.col("owner")))
+    if stationary == "b":
+        right = materialise(right.withColumn("owner", place).repartitionById(p, F.col("owner")))
+    steps = {"c": grid.gk, "a": grid.gn, "b": grid.gm}[stationary]
     moving = {"c": "tk", "a": "tj", "b": "ti"}[stationary]
-    so_far: DataFrame | None = None
+    done: list[DataFrame] = []
     for step in range(steps):
         panel_a = left if stationary == "a" else left.where(F.col(moving) == step)
         panel_b = right if stationary == "b" else right.where(F.col(moving) == step)
-        parts = (
-            panel_a.select("i", "k", "a")
-            .join(panel_b.select("k", "j", "b"), "k")
-            .groupBy("i", "j")
-            .agg(r.plus(r.times(F.col("a"), F.col("b"))).alias("v"))
-        )
-        if so_far is not None:
-            both = so_far.unionByName(parts)
-            # with a stationary A or B each step makes its own part of C: nothing to add
-            parts = both.groupBy("i", "j").agg(r.plus(F.col("v")).alias("v")) if stationary == "c" else both
-        so_far = materialise(parts)
-    return Matrix(so_far, a.rows, b.cols)
+        if stationary != "a":
+            panel_a = panel_a.withColumn("tj", _tiles(grid.gn)).withColumn("owner", place).repartitionById(p, F.col("owner"))
+        if stationary != "b":
+            panel_b = panel_b.withColumn("ti", _tiles(grid.gm)).withColumn("owner", place).repartitionById(p, F.col("owner"))
+        keys = {"c": ["owner", "ti", "tj", "k"], "a": ["owner", "ti", "k"], "b": ["owner", "tj", "k"]}[stationary]
+        met = panel_a.select("i", "a", *keys).join(panel_b.select("j", "b", *keys), keys)
+        parts = met.groupBy("owner", "i", "j").agg(r.plus(r.times(F.col("a"), F.col("b"))).alias("v"))
+        if stationary != "c":
+            parts = _gather(parts.select("i", "j", "v"), r, grid)
+        done.append(materialise(parts))
+    out = done[0]
+    for part in done[1:]:
+        out = out.unionByName(part)
+    if stationary == "c":
+        out = out.repartitionById(p, F.col("owner")).groupBy("owner", "i", "j").agg(r.plus(F.col("v")).alias("v"))
+    # with a stationary A or B each step made its own part of C: nothing to add
+    return Matrix(out.select("i", "j", "v"), a.rows, b.cols)
+
+
+def balanced(a: Matrix, b: Matrix, grid: GridSpec, slots: int, ring: str = "plus_times", units: DataFrame | None = None) -> Matrix:
+    """Units run in partitions of nearly equal cost; a unit too large for one is split.
+
+    ``work.rebalance`` names the partitions that a unit's pieces go to. A piece holds every so-manyth
+    entry of the unit's tile of A, picked by hash, and the whole tile of B, so pieces of one
+    unit cost about the same; partial sums of pieces are added where C is gathered, by hash of the place
+    and not by tile. A free slot takes the next partition, which is the dynamic claiming.
+    """
+    from . import work
+
+    check_shapes(a, b)
+    r = semiring(ring)
+    plan = materialise(work.rebalance(work.unit_mults(a, b, grid) if units is None else units, slots))
+    small = plan.limit(BROADCAST_UNITS + 1).count() <= BROADCAST_UNITS
+    side = F.broadcast(plan) if small else plan
+    left = _left(a, grid).join(side, ["ti", "tk"])
+    left = left.withColumn("piece", F.pmod(F.xxhash64("i", "k"), F.col("pieces")))
+    right = _right(b, grid).join(side, ["tk", "tj"])
+    right = right.withColumn("piece", F.explode(F.sequence(F.lit(0).cast("long"), F.col("pieces") - 1)))
+    part = work.part_of(F.col("before"), F.col("mults"), F.col("piece"), F.col("pieces"), F.col("total"), slots)
+    left, right = (x.withColumn("part", part).repartitionById(slots, F.col("part")) for x in (left, right))
+    keys = ["part", "ti", "tk", "tj", "piece", "k"]
+    met = left.select("i", "a", *keys).join(right.select("j", "b", *keys), keys)
+    partial = met.groupBy("part", "i", "j").agg(r.plus(r.times(F.col("a"), F.col("b"))).alias("v"))
+    out = partial.groupBy("i", "j").agg(r.plus(F.col("v")).alias("v"))
+    return Matrix(out, a.rows, b.cols)
 
 
 def with_claims(a: Matrix, b: Matrix, grid: GridSpec, claims: DataFrame, ring: str = "plus_times") -> Matrix:
@@ -182,7 +225,9 @@ def with_claims(a: Matrix, b: Matrix, grid: GridSpec, claims: DataFrame, ring: s
     """
     check_shapes(a, b)
     r = semiring(ring)
-    placed = F.broadcast(claims.select("ti", "tk", "tj", F.col("rank").cast("int").alias("rank")))
+    placed = claims.select("ti", "tk", "tj", F.col("rank").cast("int").alias("rank"))
+    if claims.limit(BROADCAST_UNITS + 1).count() <= BROADCAST_UNITS:
+        placed = F.broadcast(placed)
     left = _left(a, grid).join(placed, ["ti", "tk"]).repartitionById(grid.workers, F.col("rank"))
     right = _right(b, grid).join(placed, ["tk", "tj"]).repartitionById(grid.workers, F.col("rank"))
     parts = (
@@ -223,18 +268,48 @@ def salted_sum(parts: DataFrame, salts: int = 16, ring: str = "plus_times") -> D
     return first.groupBy("i", "j").agg(r.plus(F.col("v")).alias("v"))
 
 
-def permuted_index(index: str, size: int, seed: int):
-    """A bijection of 0..size-1 as a pure expression: affine with a multiplier prime to size."""
-    import math
-    import random
+#: Fixed value: the prime that round functions of the permutation are taken modulo.
+_PRIME = (1 << 31) - 1
+
 
+def permutation_keys(seed: int) -> list[tuple[int, int]]:
+    """Two numbers for each of the four rounds of a permutation."""
     rng = random.Random(seed)
-    factor = next(f for f in (rng.randrange(1, max(2, size)) for _ in iter(int, 1)) if math.gcd(f, size) == 1)
-    shift = rng.randrange(max(1, size))
-    low, high = F.pmod(F.col(index), F.lit(1 << 20)), F.shiftright(index, 20)
-    # two partial products keep index * factor inside a long for sizes up to 2**42
-    moved = F.pmod(high * (factor * (1 << 20) % size), F.lit(size)) + F.pmod(low * factor, F.lit(size))
-    return F.pmod(moved + shift, F.lit(size)).cast("long")
+    return [(rng.randrange(1, 1 << 20), rng.randrange(1 << 20)) for _ in range(4)]
+
+
+def half_bits(size: int) -> int:
+    """Half of the bits that indices below ``size`` take, rounded up."""
+    return max(1, -(-max(1, size - 1).bit_length() // 2))
+
+
+def permuted_index(index: str, size: int, seed: int):
+    """A keyed bijection of 0..size-1 as a pure expression.
+
+    Four rounds of a balanced network mix the two halves of an index; a result of ``size`` or more
+    is mixed again until it is smaller, which keeps the map one-to-one. Sizes go up to 2**42. An index
+    that has not come back after 64 rounds, less likely than once in 10**8 for any size, is an error.
+    """
+    h = half_bits(size)
+    mask = F.lit((1 << h) - 1).cast("long")
+    keys = F.array(*(F.struct(F.lit(x).cast("long").alias("x"), F.lit(y).cast("long").alias("y")) for x, y in permutation_keys(seed)))
+
+    def once(value):
+        def mix(acc, key):
+            low = acc["low"]
+            shown = F.shiftright(F.pmod(low * low + key["x"] * low + key["y"], F.lit(_PRIME)), 3).bitwiseAND(mask)
+            return F.struct(low.alias("high"), acc["high"].bitwiseXOR(shown).alias("low"))
+
+        start = F.struct(F.shiftright(value, h).alias("high"), value.bitwiseAND(mask).alias("low"))
+        return F.aggregate(keys, start, mix, lambda acc: F.shiftleft(acc["high"], h).bitwiseOR(acc["low"]))
+
+    first = once(F.col(index).cast("long"))
+    if size == 1 << 2 * h:
+        return first
+    again = lambda v: F.aggregate(F.sequence(F.lit(1), F.lit(64)), v, lambda acc, _: F.when(acc >= size, once(acc)).otherwise(acc))
+    inside = F.transform(F.array(first), lambda v: F.when(v < size, v).otherwise(again(v)))
+    checked = F.transform(inside, lambda v: F.when(v < size, v).otherwise(F.raise_error(F.lit("a permuted index did not come back")).cast("long")))
+    return F.get(checked, F.lit(0))
 
 
 def permute(a: Matrix, seed_rows: int | None = 1, seed_cols: int | None = 2) -> Matrix:

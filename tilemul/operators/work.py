@@ -59,6 +59,22 @@ def work_units(a: Matrix, b: Matrix, grid: GridSpec, dense_b: bool = False) -> D
     )
 
 
+def dense_work_units(a: Matrix, grid: GridSpec) -> DataFrame:
+    """Work units of A times a dense B, from A's tile counts alone: no entry of B is made."""
+    of_a = tile_sizes(a, grid.tile_m, grid.tile_k).select(F.col("r").alias("ti"), F.col("c").alias("tk"), "nnz", F.col("bytes").alias("bytes_a"))
+    wide = lambda t, extent, size: F.greatest(F.lit(0), F.least(F.lit(extent), F.lit(size) - F.col(t) * extent))
+    tall, thick, broad = wide("ti", grid.tile_m, grid.m), wide("tk", grid.tile_k, grid.k), wide("tj", grid.tile_n, grid.n)
+    return (
+        grid.cube(a.df.sparkSession)
+        .join(of_a, ["ti", "tk"], "left")
+        .fillna({"nnz": 0, "bytes_a": 0})
+        .select(
+            "ti", "tk", "tj", (F.col("nnz") * broad).cast("long").alias("mults"), "bytes_a",
+            (thick * broad * VALUE_BYTES).cast("long").alias("bytes_b"), (tall * broad * VALUE_BYTES).cast("long").alias("bytes_c"),
+        )
+    )
+
+
 def catalogue(a: Matrix, rows: int, cols: int, grid: GridSpec, dense: bool = False) -> DataFrame:
     """The directory of a matrix's tiles: (ti, tk, owner, nnz, bytes, n_pointers)."""
     return tile_sizes(a, rows, cols, dense).select(
@@ -156,25 +172,52 @@ def comm_exact(units: DataFrame, grid: GridSpec, stationary: str = "c") -> DataF
     return units.groupBy(rank.alias("rank")).agg(F.count("*").alias("units"), F.sum(remote).cast("long").alias("remote_bytes"))
 
 
-def rebalance(units: DataFrame, slots: int, buckets: int = 1024) -> DataFrame:
-    """(part, units, mults): the cube cut into stretches of nearly equal cost.
+#: Units in a chunk of the two-level running total.
+CHUNK = 1024
 
-    Running totals are taken inside buckets of units and over bucket sums, so no window holds
-    all units; a stretch is a whole partition that a free slot takes next.
+
+def rebalance(units: DataFrame, slots: int) -> DataFrame:
+    """(ti, tk, tj, mults, before, total, pieces): a plan of ``slots`` partitions of nearly equal cost.
+
+    Units stand in order of (ti, tk, tj) and ``before`` is the cost up to a unit; partition s takes
+    what lies between s and s + 1 parts of the ``total``. A unit that costs more than a quarter
+    of a partition is cut into ``pieces``, which ``part_of`` places. Running totals are
+    taken over chunks of units and inside a chunk, so no window holds all units; units without any
+    work are left out.
     """
     from pyspark.sql import Window
 
-    ordered = units.withColumn("bucket", F.pmod(F.xxhash64("ti", "tk", "tj"), F.lit(buckets)))
-    sums = ordered.groupBy("bucket").agg(F.sum("mults").alias("s"))
-    over = Window.orderBy("bucket").rowsBetween(Window.unboundedPreceding, -1)
-    base = sums.select("bucket", F.coalesce(F.sum("s").over(over), F.lit(0)).alias("base"))
-    inside = Window.partitionBy("bucket").orderBy("ti", "tk", "tj").rowsBetween(Window.unboundedPreceding, -1)
-    total = sums.agg(F.sum("s").alias("all"))
+    some = units.where("mults > 0").select("ti", "tk", "tj", F.col("mults").cast("long").alias("mults"))
+    # a chunk is a stretch of the order: units of one (ti, tk) and a stretch of tj
+    chunk = F.struct("ti", "tk", F.expr(f"tj div {CHUNK}").alias("c"))
+    chunked = some.withColumn("chunk", chunk)
+    sums = chunked.groupBy("chunk").agg(F.sum("mults").alias("s"))
+    rows = sums.groupBy("chunk.ti").agg(F.sum("s").alias("s"))
+    earlier = lambda *by: Window.partitionBy(*by).orderBy("chunk").rowsBetween(Window.unboundedPreceding, -1)
+    sum_of = lambda name, w: F.coalesce(F.sum(name).over(w), F.lit(0))
+    over_rows = Window.orderBy("ti").rowsBetween(Window.unboundedPreceding, -1)  # one row per row of tiles
+    row_base = rows.select("ti", sum_of("s", over_rows).alias("row_base"))
+    base = sums.withColumn("ti", F.col("chunk.ti")).join(row_base, "ti").select("chunk", (F.col("row_base") + sum_of("s", earlier("ti"))).alias("base"))
+    inside = Window.partitionBy("chunk").orderBy("tj").rowsBetween(Window.unboundedPreceding, -1)
+    total = some.agg(F.sum("mults").alias("total"))
+    pieces = F.greatest(F.lit(1), F.ceil(F.col("mults") * slots * 4 / F.col("total")))
     return (
-        ordered.join(base, "bucket")
-        .withColumn("before", F.col("base") + F.coalesce(F.sum("mults").over(inside), F.lit(0)))
-        .join(F.broadcast(total))
-        .withColumn("part", F.least(F.lit(slots - 1), F.floor(F.col("before") * slots / F.greatest("all", F.lit(1)))).cast("int"))
-        .groupBy("part")
-        .agg(F.count("*").alias("units"), F.sum("mults").cast("long").alias("mults"))
+        chunked.join(base, "chunk")
+        .withColumn("before", F.col("base") + sum_of("mults", inside))
+        .join(F.broadcast(total))  # one row
+        .select("ti", "tk", "tj", "mults", "before", "total", pieces.cast("long").alias("pieces"))
     )
+
+
+def part_of(before, mults, piece, pieces, total, slots: int):
+    """The partition of one piece of a unit, by whole-number arithmetic on its middle."""
+    middle = before + F.call_function("div", (2 * piece + 1) * mults, 2 * pieces)
+    return F.least(F.lit(slots - 1), F.call_function("div", middle.cast("decimal(38,0)") * slots, total)).cast("int")
+
+
+def part_loads(plan: DataFrame, slots: int) -> DataFrame:
+    """(part, pieces, mults): what each partition of a ``rebalance`` plan works on."""
+    each = plan.withColumn("piece", F.explode(F.sequence(F.lit(0).cast("long"), F.col("pieces") - 1)))
+    part = part_of(F.col("before"), F.col("mults"), F.col("piece"), F.col("pieces"), F.col("total"), slots)
+    share = F.call_function("div", (F.col("piece") + 1) * F.col("mults"), F.col("pieces")) - F.call_function("div", F.col("piece") * F.col("mults"), F.col("pieces"))
+    return each.groupBy(part.alias("part")).agg(F.count("*").alias("pieces"), F.sum(share).cast("long").alias("mults"))

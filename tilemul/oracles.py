@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+from .operators.products import half_bits, permutation_keys
 from .sources.tables import EVENT_TYPES
 
 ORDER_PART = "SELECT l_orderkey AS i, l_partkey AS j, CAST(sum(l_quantity) AS BIGINT) AS v FROM lineitem GROUP BY ALL"
@@ -17,16 +18,17 @@ SELECT user_id AS i, lead(user_id) OVER (ORDER BY ts, event_id) AS j FROM events
 _CODE = "CASE event_type " + " ".join(f"WHEN '{t}' THEN {n}" for n, t in enumerate(EVENT_TYPES)) + " END"
 USER_EVENT = f"SELECT user_id AS i, CAST({_CODE} AS BIGINT) AS j, count(*) AS v FROM events GROUP BY ALL"
 COPURCHASE = """SELECT x.l_partkey AS i, y.l_partkey AS j, count(*) AS v
-FROM (SELECT DISTINCT l_orderkey, l_partkey FROM lineitem WHERE l_orderkey % 10 = 0) x
-JOIN (SELECT DISTINCT l_orderkey, l_partkey FROM lineitem WHERE l_orderkey % 10 = 0) y
+FROM (SELECT DISTINCT l_orderkey, l_partkey FROM lineitem) x
+JOIN (SELECT DISTINCT l_orderkey, l_partkey FROM lineitem) y
 ON x.l_orderkey = y.l_orderkey AND x.l_partkey <> y.l_partkey GROUP BY ALL"""
 BANDED = """SELECT l_orderkey AS i, least(l_orderkey + l_linenumber - 1, (SELECT max(o_orderkey) FROM orders)) AS j, count(*) AS v
 FROM lineitem GROUP BY ALL"""
 TOKENS = "SELECT doc_id, unnest(string_split(lower(text), ' ')) AS token FROM documents"
 DOC_TERM = f"""SELECT doc_id AS i, r AS j, count(*) AS v FROM ({TOKENS}) t JOIN (
-SELECT token, row_number() OVER (ORDER BY n DESC, token) - 1 AS r FROM (
-SELECT token, count(*) AS n FROM ({TOKENS}) WHERE token <> '' GROUP BY token ORDER BY n DESC, token LIMIT 4096)) d
+SELECT token, row_number() OVER (ORDER BY token) - 1 AS r FROM (SELECT DISTINCT token FROM ({TOKENS}) WHERE token <> '')) d
 USING (token) GROUP BY ALL"""
+TERM_NUMBERS = f"(SELECT row_number() OVER () - 1 AS r FROM (SELECT DISTINCT token FROM ({TOKENS}) WHERE token <> ''))"
+TERMS = f"(SELECT count(DISTINCT token) FROM ({TOKENS}) WHERE token <> '')"
 EMB_GRAPH = """SELECT i, j, CAST(1 AS BIGINT) AS v FROM (
 SELECT x.vec_id AS i, y.vec_id AS j, sum(x.q * y.q) AS s, min(x.n) AS n1, min(y.n) AS n2
 FROM (SELECT *, sum(q * q) OVER (PARTITION BY vec_id) AS n FROM (SELECT vec_id, generate_subscripts(embedding, 1) AS d,
@@ -71,3 +73,34 @@ def units(a: str, b: str, hm: int, hk: int, hn: int) -> str:
     return f"""SELECT CAST(ti AS INTEGER) AS ti, CAST(tk AS INTEGER) AS tk, CAST(tj AS INTEGER) AS tj, CAST(sum(ca * rb) AS BIGINT) AS mults
 FROM (SELECT i // {hm} AS ti, j AS k, j // {hk} AS tk, count(*) AS ca FROM ({a}) GROUP BY ALL) x
 JOIN (SELECT i AS k, j // {hn} AS tj, count(*) AS rb FROM ({b}) GROUP BY ALL) y USING (k) GROUP BY 1, 2, 3"""
+
+
+def permutation(size: int, seed: int) -> str:
+    """(id, x) of the keyed bijection of 0..size-1, walked until it is inside."""
+    h = half_bits(size)
+    shown = "id, n, x >> %d AS p0, x & %d AS q0 FROM walk WHERE n = 0 OR x >= %d" % (h, (1 << h) - 1, size)
+    step = f"SELECT {shown}"
+    for r, (k1, k2) in enumerate(permutation_keys(seed)):
+        mixed = f"(((q{r} * q{r} + {k1} * q{r} + {k2}) % 2147483647) >> 3) & {(1 << h) - 1}"
+        step = f"SELECT id, n, q{r} AS p{r + 1}, xor(p{r}, {mixed}) AS q{r + 1} FROM ({step})"
+    return f"""(WITH RECURSIVE walk AS (SELECT r AS id, r AS x, 0 AS n FROM range({size}) t(r) UNION ALL
+SELECT id, (p4 << {h}) | q4 AS x, n + 1 AS n FROM ({step})) SELECT id, x FROM walk WHERE n > 0 AND x < {size})"""
+
+
+def permuted(a: str, size: int, seed_rows: int, seed_cols: int) -> str:
+    return f"SELECT r.x AS i, c.x AS j, v FROM ({a}) JOIN {permutation(size, seed_rows)} r ON i = r.id JOIN {permutation(size, seed_cols)} c ON j = c.id"
+
+
+def digest(c: str) -> str:
+    """(j, entries, total, weighted) of a product's columns."""
+    return f"SELECT j, count(*) AS entries, CAST(sum(v) AS BIGINT) AS total, CAST(sum(v * (i % 1009)) AS BIGINT) AS weighted FROM ({c}) GROUP BY j"
+
+
+def part_loads(units: str, slots: int) -> str:
+    """(part, pieces, mults) of the units' plan of partitions."""
+    return f"""WITH u AS (SELECT ti, tk, tj, mults, sum(mults) OVER () AS total,
+coalesce(sum(mults) OVER (ORDER BY ti, tk, tj ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) AS before FROM ({units})),
+n AS (SELECT *, greatest(1, CAST(ceil(CAST(mults * {4 * slots} AS DOUBLE) / CAST(total AS DOUBLE)) AS BIGINT)) AS pieces FROM u),
+e AS (SELECT *, unnest(range(pieces)) AS piece FROM n)
+SELECT CAST(least({slots - 1}, ((before + ((2 * piece + 1) * mults) // (2 * pieces)) * {slots}) // total) AS INTEGER) AS part, count(*) AS pieces,
+CAST(sum(((piece + 1) * mults) // pieces - (piece * mults) // pieces) AS BIGINT) AS mults FROM e GROUP BY 1"""

@@ -36,6 +36,23 @@ class StrategyPlan:
         return f"stationary {self.stationary.upper()} on {g.gm}x{g.gk}x{g.gn} tiles ({self.reason}); entries moved {volumes}"
 
 
+#: Entries of operands and result that one worker's partition is to hold, and workers at least and at most.
+ENTRIES_PER_WORKER, LEAST_WORKERS, MOST_WORKERS = 2_000_000, 8, 1 << 20
+
+
+def choose_workers(a: Stats, b: Stats, entries_c: int | None = None) -> int:
+    """Workers for a product: entries of A, B and a bounded C over what one worker is to hold.
+
+    A power of four, so that the grid is square and its traffic least.
+    """
+    entries_c = min(a.rows * b.cols, 16 * (a.entries + b.entries)) if entries_c is None else entries_c
+    wanted = -(-(a.entries + b.entries + entries_c) // ENTRIES_PER_WORKER)
+    workers = 1
+    while workers < min(wanted, MOST_WORKERS):
+        workers *= 4
+    return max(LEAST_WORKERS, workers)
+
+
 def choose_grid(a: Stats, b: Stats, workers: int) -> GridSpec:
     """Rows × columns of workers with least traffic for a stationary C: gn·|A| + gm·|B|."""
     sides = [(d, workers // d) for d in range(1, workers + 1) if workers % d == 0]
@@ -62,25 +79,30 @@ def choose_strategy(a: Stats, b: Stats, workers: int, entries_c: int | None = No
     return StrategyPlan(best, grid, moved, largest)
 
 
-def multiply(a: Matrix, b: Matrix, strategy: str = "auto", grid: GridSpec | None = None, workers: int = 8, ring: str = "plus_times", mask: Matrix | None = None) -> Matrix:
+def multiply(a: Matrix, b: Matrix, strategy: str = "auto", grid: GridSpec | None = None, workers: int | None = None, ring: str = "plus_times", mask: Matrix | None = None) -> Matrix:
     """C = A·B by a named strategy, or by the planner's.
 
-    ``strategy``: auto, plain, c, a, b, 1d, 3d, lockstep-c, lockstep-a or lockstep-b. A
-    ``mask`` keeps only its places and is pushed below the sum.
+    ``strategy``: auto, plain, c, a, b, 1d, 3d, balanced, lockstep-c, lockstep-a or lockstep-b. A
+    ``mask`` keeps only its places and is pushed below the sum. Without ``workers`` or a grid
+    their number follows from the operands' entries (one count of each).
     """
     products.check_shapes(a, b)
     if mask is not None:
         return products.masked(a, b, mask, ring)
     if strategy == "plain":
         return products.plain(a, b, ring)
+    stats = (Stats.of(a), Stats.of(b)) if strategy == "auto" or (workers is None and grid is None) else None
+    workers = workers or (choose_workers(*stats) if stats else grid.workers)
     if strategy == "1d":
         return products.layout_1d(a, b, workers, ring)
     if strategy == "auto":
-        plan = choose_strategy(Stats.of(a), Stats.of(b), workers)
+        plan = choose_strategy(*stats, workers)
         strategy, grid = plan.stationary, grid or plan.grid
     grid = grid or GridSpec.for_workers(a.rows, a.cols, b.cols, workers)
     if strategy.startswith("lockstep-"):
         return products.lockstep(a, b, grid, strategy[-1], ring)
+    if strategy == "balanced":
+        return products.balanced(a, b, grid, 4 * grid.workers, ring)
     runs = {
         "c": products.stationary_c,
         "a": products.stationary_a,

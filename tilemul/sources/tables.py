@@ -12,6 +12,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import Window
 
 from ..matrix import Matrix
+from ..session import materialise
 
 #: Quadrant probabilities of the recursive generator times 65536, added up.
 RMAT_CUTS = (39322, 48060, 56798)
@@ -103,12 +104,9 @@ def user_event(spark: SparkSession, sf_dir: str) -> Matrix:
     return Matrix(cells, _size(events, "user_id"), len(EVENT_TYPES))
 
 
-def copurchase(spark: SparkSession, sf_dir: str, every: int = 10) -> Matrix:
-    """Pairs of different parts in one order, over orders with a key divisible by ``every``.
-
-    The subset is the definition of this graph, not a saving; an order has few lines.
-    """
-    lines = table(spark, sf_dir, "lineitem").where(F.col("l_orderkey") % every == 0).select("l_orderkey", "l_partkey").distinct()
+def copurchase(spark: SparkSession, sf_dir: str) -> Matrix:
+    """Pairs of different parts in one order; an order has few lines."""
+    lines = table(spark, sf_dir, "lineitem").select("l_orderkey", "l_partkey").distinct()
     pairs = lines.join(lines.select("l_orderkey", F.col("l_partkey").alias("other")), "l_orderkey").where("l_partkey <> other")
     n = _size(table(spark, sf_dir, "part"), "p_partkey")
     return Matrix(pairs.groupBy(F.col("l_partkey").alias("i"), F.col("other").alias("j")).agg(F.count("*").alias("v")), n, n)
@@ -127,17 +125,30 @@ def tokens(spark: SparkSession, sf_dir: str) -> DataFrame:
     return docs.select("doc_id", F.explode(F.split(F.lower("text"), " ", -1)).alias("token")).where("token <> ''")
 
 
-def doc_term(spark: SparkSession, sf_dir: str, terms: int = 4096) -> Matrix:
-    """Counts of the commonest terms; the dictionary is a top list of fixed size."""
-    all_tokens = tokens(spark, sf_dir)
-    top = all_tokens.groupBy("token").agg(F.count("*").alias("n")).orderBy(F.desc("n"), "token").limit(terms)
-    ranked = top.select("token", (F.row_number().over(Window.orderBy(F.desc("n"), "token")) - 1).cast("long").alias("j"))
-    cells = (
-        all_tokens.join(F.broadcast(ranked), "token")  # ``terms`` rows at most
-        .groupBy(F.col("doc_id").alias("i"), "j")
-        .agg(F.count("*").alias("v"))
-    )
-    return Matrix(cells, _size(table(spark, sf_dir, "documents"), "doc_id"), terms)
+#: Tokens that one task numbers.
+TOKENS_PER_RANGE = 1_000_000
+
+
+def dictionary(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """(token, j): all tokens numbered in order, written once; ranges are counted, not gathered."""
+    different = materialise(tokens(spark, sf_dir).select("token").distinct())
+    parts = max(1, -(-different.count() // TOKENS_PER_RANGE))
+    ordered = different.repartitionByRange(parts, "token") if parts > 1 else different.coalesce(1)
+    placed = materialise(ordered.sortWithinPartitions("token").withColumn("at", F.monotonically_increasing_id()))
+    part = F.shiftright("at", 33)
+    counts = placed.groupBy(part.alias("part")).agg(F.count("*").alias("n"))
+    earlier = Window.orderBy("part").rowsBetween(Window.unboundedPreceding, -1)  # one row per range
+    starts = counts.select("part", F.coalesce(F.sum("n").over(earlier), F.lit(0)).alias("start"))
+    number = F.col("start") + F.col("at").bitwiseAND(F.lit((1 << 33) - 1))
+    return placed.withColumn("part", part).join(F.broadcast(starts), "part").select("token", number.cast("long").alias("j"))
+
+
+def doc_term(spark: SparkSession, sf_dir: str) -> Matrix:
+    """Counts of all tokens of all documents; counted by document first, so that a common token's rows are few."""
+    words = materialise(dictionary(spark, sf_dir))
+    counts = tokens(spark, sf_dir).groupBy("doc_id", "token").agg(F.count("*").alias("v"))
+    cells = counts.join(words, "token").select(F.col("doc_id").alias("i"), "j", "v")
+    return Matrix(cells, _size(table(spark, sf_dir, "documents"), "doc_id"), words.count())
 
 
 def emb_graph(spark: SparkSession, sf_dir: str, block: int = 512) -> Matrix:

@@ -12,6 +12,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..matrix import Matrix
+from ..operators.products import BROADCAST_ENTRIES
 from ..session import scratch
 from ..sources.tables import event_code
 
@@ -32,11 +33,17 @@ def source(spark: SparkSession, path: str, files_per_trigger: int | None = None)
     return reader.parquet(path).withColumn("ts", F.col("ts").cast("timestamp"))
 
 
+def _static(b: Matrix) -> DataFrame:
+    """The static operand, broadcast where its number of places is bounded by its shape."""
+    df = b.df.select(F.col("i").alias("k"), "j", F.col("v").alias("b"))
+    return F.broadcast(df) if b.rows * b.cols <= BROADCAST_ENTRIES else df
+
+
 def delta_product(events: DataFrame, b: Matrix, width: str = "1 day", slide: str | None = None, watermark: str = "1 day") -> DataFrame:
     """(start, i, j, v): the product of each window's user × event-type counts with B."""
     entries = events.withWatermark("ts", watermark).select("ts", F.col("user_id").alias("i"), event_code().cast("long").alias("k"))
     window = F.window("ts", width, slide) if slide else F.window("ts", width)
-    met = entries.join(F.broadcast(b.df.select(F.col("i").alias("k"), "j", F.col("v").alias("b"))), "k")  # one row per event type
+    met = entries.join(_static(b), "k")
     sums = met.groupBy(window.alias("w"), "i", "j").agg(F.sum("b").cast("long").alias("v"))
     return sums.select(F.col("w.start").alias("start"), "i", "j", "v")
 
@@ -50,7 +57,7 @@ def sessions(events: DataFrame, gap: str = "6 hours", watermark: str = "1 day")
 def running_product(events: DataFrame, b: Matrix) -> DataFrame:
     """(i, j, v): the product over all events so far; for complete mode."""
     entries = events.select(F.col("user_id").alias("i"), event_code().cast("long").alias("k"))
-    met = entries.join(F.broadcast(b.df.select(F.col("i").alias("k"), "j", F.col("v").alias("b"))), "k")
+    met = entries.join(_static(b), "k")
     return met.groupBy("i", "j").agg(F.sum("b").cast("long").alias("v"))
 
 
@@ -69,12 +76,14 @@ def deduplicated(events: DataFrame, watermark: str = "1 day") -> DataFrame:
     return events.withWatermark("ts", watermark).dropDuplicatesWithinWatermark(["event_id"])
 
 
-def run(result: DataFrame, mode: str = "append", folder: str | None = None) -> DataFrame:
-    """All that a stream has by now, through ``availableNow``.
+def run(result: DataFrame, mode: str = "append", folder: str | None = None, keys: list[str] | None = None) -> DataFrame:
+    """All that a stream has by now, through ``availableNow``, in files.
 
-    Append writes files and leaves out windows that the watermark has not passed; running again
-    with the same ``folder``, which holds the state and the files, goes on where the last run
-    ended. Complete and update keep everything in a table in memory.
+    Append leaves out windows that the watermark has not passed. Update writes every batch's changed
+    rows to a folder of its own, which a retry overwrites, and reads the latest row of each of
+    ``keys``; state of windows that the watermark has passed is dropped. Running again with the same
+    ``folder``, which holds the state and the files, goes on where the last run ended. Complete
+    keeps all state and everything in a table in memory: for results of a bounded size.
     """
     spark = result.sparkSession
     folder = folder or f"{scratch(spark).rstrip('/')}/stream-{uuid.uuid4().hex}"
@@ -82,6 +91,15 @@ def run(result: DataFrame, mode: str = "append", folder: str | None = None) -> D
     if mode == "append":
         writer.format("parquet").option("path", f"{folder}/out").start().awaitTermination()
         return spark.read.schema(result.schema).parquet(f"{folder}/out")
+    if mode == "update":
+        if not keys:
+            raise ValueError("update needs the keys that rows are latest of")
+        put = lambda batch, n: batch.write.mode("overwrite").parquet(f"{folder}/out/batch={n}")
+        writer.foreachBatch(put).start().awaitTermination()
+        rows = spark.read.option("basePath", f"{folder}/out").schema(result.schema.add("batch", "long")).parquet(f"{folder}/out")
+        rest = [c for c in result.columns if c not in keys]
+        latest = rows.groupBy(*keys).agg(F.max_by(F.struct(*rest), "batch").alias("latest"))
+        return latest.select(*(F.col(c) if c in keys else F.col(f"latest.{c}").alias(c) for c in result.columns))
     name = f"stream_{uuid.uuid4().hex}"
     writer.format("memory").queryName(name).start().awaitTermination()
     return spark.table(name)
