@@ -64,6 +64,7 @@ def test_edited_texts(docs_of, rows_per_range):
         assert r.edited_sha256 == hashlib.sha256(edited.encode()).hexdigest()
         x, y, z = (fp.winnow(fp.code_points(t))[0] for t in (own, edited, following))
         assert r.fingerprint == fp.spelled(x) and r.edited_fingerprint == fp.spelled(y)
+        assert r.positions == brute(own, fp.K_GRAM, fp.WINDOW) and r.edited_positions == brute(edited, fp.K_GRAM, fp.WINDOW)
         assert r.near_edited == fp.likeness(x, y) and r.near_next == fp.likeness(x, z)
 
 

@@ -142,7 +142,7 @@ def test_native_plan(docs_of):
 
 def test_license_rules_and_suppression():
     rules = licenses.build_rules()
-    assert len(rules) > 200 and [r.priority for r in rules] == sorted((r.priority for r in rules), reverse=True)
+    assert len(rules) > 400 and len(licenses.SIGNATURES) > 100 and [r.priority for r in rules] == sorted((r.priority for r in rules), reverse=True)
     s = licenses.Scanner()
     label = lambda t: {d.label for d in s.detections(t.lower())}
     assert label("Licensed under the Apache License, Version 2.0.") == {"apache"}
@@ -151,6 +151,11 @@ def test_license_rules_and_suppression():
     assert label("GNU Lesser General Public License version 3") == {"lgpl"}
     assert label("Permission is hereby granted, free of charge, to any person obtaining a copy") == {"mit"}
     assert label("an ordinary sentence about licences of taste") == set()
+    assert label("released under the gnu gpl version 3") == {"gpl"} and label("gnu lgpl 2.1") == {"lgpl"}
+    assert label("expat license") == {"mit"} and label("psf license 2") == {"python"}
+    assert label("gnu general\npublic license version 2") == {"gpl"} and label("# CC-BY\n# SA 4.0") == {"cc-by-sa"}
+    assert label("This source code form is subject to\n * the terms of the Mozilla Public\n * License, v. 2.0") == {"mpl"}
+    assert label("Redistributions of source code must retain the above copyright notice, this list\n// of conditions and the following disclaimer.") == {"bsd"}
     # a detection stands unless one of higher priority, or a longer equal one, holds it
     rng = random.Random(1)
     for _ in range(200):
@@ -165,6 +170,57 @@ def test_license_rules_and_suppression():
                 assert not any(inside(d, k) and k.priority > d.priority for k in kept)
 
 
+def sample(node, rng):
+    """A text that a parsed pattern matches, assertions aside."""
+    from re import _constants as c
+
+    out = ""
+    for op, arg in node:
+        if op is c.LITERAL:
+            out += chr(arg)
+        elif op is c.NOT_LITERAL or op is c.ANY:
+            out += "x"
+        elif op is c.IN:
+            if arg[0][0] is c.NEGATE:
+                out += "x"
+                continue
+            kind, value = rng.choice(arg)
+            out += chr(value) if kind is c.LITERAL else chr(rng.randint(*value)) if kind is c.RANGE else "x"
+        elif op in (c.MAX_REPEAT, c.MIN_REPEAT):
+            low, high, part = arg
+            out += "".join(sample(part, rng) for _ in range(rng.randint(low, min(high, low + 2))))
+        elif op is c.SUBPATTERN:
+            out += sample(arg[3], rng)
+        elif op is c.BRANCH:
+            out += sample(rng.choice(arg[1]), rng)
+    return out
+
+
+def test_keywords_hide_no_detection():
+    from re import _parser
+
+    rng = random.Random(3)
+    gated, plain = licenses.Scanner(), licenses.Scanner(gated=False)
+    for n, rule in enumerate(gated.rules):
+        hits = 0
+        for _ in range(12):
+            text = sample(_parser.parse(rule.pattern), rng)
+            if re.search(rule.pattern, text):
+                hits += 1
+                assert n in gated.asked(text), (rule, text)
+        assert hits, rule
+    for _ in range(60):
+        some = rng.sample(gated.rules, 3)
+        text = " and ".join(sample(_parser.parse(r.pattern), rng) for r in some)
+        assert gated.detections(text) == plain.detections(text)
+
+
+def test_license_edges(docs_of):
+    assert licenses.scan(docs_of([])).count() == 0
+    rows = licenses.scan(docs_of(["under the MIT License"] * 3, [1, 1, None])).collect()
+    assert [(r.base_labels, r.labels, r.score) for r in rows] == [("mit", "mit", 0.4)] * 3
+
+
 def brute_words(text):
     lowered = re.sub("[A-Z]", lambda m: m.group(0).lower(), text)
     return re.findall(r"[^\x00-\x2F\x3A-\x60\x7B-\x7F]+", lowered)

@@ -1,80 +1,112 @@
 """Chat formatting by multi-party perspective rotation.
 
 Every participant of a conversation becomes the assistant once; all others are users under
-their own names, and only the assistant's turns bear loss. Turns are rendered one by one, so
-a conversation of any length is never gathered in one task; ordered by turn, the segments
-of a (conversation, perspective) joined end to end are its text.
+their own names, and only the assistant's turns bear loss. ``perspectives`` renders every dialogue
+turn by turn: each segment knows where it starts in its dialogue, and the segments of a
+(conversation, perspective) joined end to end are the dialogue's text. ``dialogues`` joins them.
+
+Offsets are running sums in two levels, over chunks of consecutive turns and inside a chunk, and
+turns meet participants by chunk, so that no task gets all turns of a long conversation.
 """
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql import Window
 
 from .common import whole
 
-#: A conversation with more turns than one in so many of all turns is hot: fewer than this many.
-HOT_SHARE = 1000
-SALTS = 32
+#: Turn numbers in a chunk.
+CHUNK = 256
+#: Characters that a name shows as a per cent sign and their number, the sign itself first.
+_ESCAPED = {"%": "%25", "|": "%7C", "<": "%3C", ">": "%3E", "\n": "%0A"}
+
+
+def escaped_name(name: Column) -> Column:
+    """A name that cannot end or forge a head."""
+    for sign, shown in _ESCAPED.items():
+        name = F.replace(name, F.lit(sign), F.lit(shown))
+    return name
+
+
+def escaped_text(text: Column) -> Column:
+    """A text that cannot forge a mark: one more bar after every ``<|``; taking it out gives the text back."""
+    return F.replace(text, F.lit("<|"), F.lit("<||"))
+
+
+def _head(role: str, name: Column | None = None) -> Column:
+    return F.lit(f"<|{role}|>\n") if name is None else F.concat(F.lit(f"<|{role} name="), escaped_name(name), F.lit("|>\n"))
 
 
 def perspectives(turns: DataFrame) -> DataFrame:
     """One row per turn and participant of its conversation, with that participant as assistant.
 
-    (conv_id, assistant, turn, role, name, segment, mask_start, mask_end): ``segment`` is the
-    rendered turn; code points from mask_start up to mask_end bear loss (both zero where none
-    do). ``role`` is assistant, user or system; ``name`` is the speaker of a user turn. Turns of
-    the role ``system`` are context in every perspective and no participant. A null role is the
-    participant ``unknown``, a null text is empty, rows with null conv_id are one conversation;
-    repeated rows and equal turn numbers are turns of their own. A conversation without
-    participants has no rows. Other columns are ignored.
+    (conv_id, assistant, turn, role, name, segment, mask_start, mask_end, dialogue_start):
+    ``segment`` is the rendered turn, which starts at code point ``dialogue_start`` of the dialogue;
+    code points of the segment from mask_start up to mask_end bear loss (both zero where none
+    do). ``role`` is assistant, user or system; ``name`` is the speaker of a user turn. A dialogue is in
+    order of turn, then speaker, then text. Turns of the role ``system`` are context in
+    every perspective and no participant. A null role is the participant ``unknown``, a null text is
+    empty, rows with null conv_id are one conversation, null turns come first; repeated rows and
+    equal turn numbers are turns of their own. Marks inside texts and names are escaped. A conversation
+    without participants has no rows. An empty table gives an empty result; other columns are ignored.
     """
+    key = [F.coalesce(F.col("conv_id").cast("string"), F.lit("")).alias("c"), F.col("conv_id").isNull().alias("c0")]
     named = turns.select(
-        "conv_id", "turn", F.coalesce(F.col("role"), F.lit("unknown")).alias("speaker"), whole().alias("text")
+        "conv_id", *key, "turn", F.coalesce(F.expr(f"floor(turn / {CHUNK})"), F.lit(-(1 << 62))).alias("chunk"),
+        F.coalesce(F.col("role"), F.lit("unknown")).alias("speaker"), escaped_text(whole()).alias("text"),
+    )
+    system = F.col("speaker") == "system"
+    as_other = F.when(system, _head("system")).otherwise(_head("user", F.col("speaker")))
+    end = "\n<|end|>\n"
+    # characters and turns by chunk and speaker, all speakers taken as users
+    by_speaker = named.groupBy("c", "c0", "chunk", "speaker").agg(
+        F.sum(F.length(as_other) + F.length("text") + len(end)).alias("chars"), F.count("*").alias("n")
     )
-    cast = (
-        named.where("speaker <> 'system'").select("conv_id", F.col("speaker").alias("assistant")).distinct()
+    cast = by_speaker.where(~system).select("c", "c0", F.col("speaker").alias("assistant")).distinct()
+    chunks = by_speaker.groupBy("c", "c0", "chunk").agg(F.sum("chars").alias("chars"))
+    own = by_speaker.select("c", "c0", "chunk", F.col("speaker").alias("assistant"), "n")
+    shorter = F.length(_head("assistant")) - F.length(_head("user", F.col("assistant")))
+    earlier = Window.partitionBy("c", "c0", "assistant").orderBy("chunk").rowsBetween(Window.unboundedPreceding, -1)
+    bases = (
+        chunks.join(cast, ["c", "c0"])
+        .join(own, ["c", "c0", "chunk", "assistant"], "left")
+        .withColumn("base", F.coalesce(F.sum(F.col("chars") + F.coalesce("n", F.lit(0)) * shorter).over(earlier), F.lit(0)))
+        .select("c", "c0", "chunk", "assistant", "base")
     )
-    mine = F.col("speaker") == F.col("assistant")
-    role = F.when(F.col("speaker") == "system", "system").when(mine, "assistant").otherwise("user")
-    head = F.concat(
-        F.lit("<|"), F.col("role"), F.when(F.col("role") == "user", F.concat(F.lit(" name="), "speaker")).otherwise(""), F.lit("|>\n")
+    loss = F.col("speaker") == F.col("assistant")
+    role = F.when(system, "system").when(loss, "assistant").otherwise("user")
+    before = Window.partitionBy("c", "c0", "chunk", "assistant").orderBy("turn", "speaker", "text").rowsBetween(Window.unboundedPreceding, -1)
+    rotated = (
+        named.join(bases, ["c", "c0", "chunk"])
+        .withColumn("head", F.when(loss, _head("assistant")).otherwise(as_other))
+        .withColumn("segment", F.concat("head", "text", F.lit(end)))
+        .withColumn("dialogue_start", F.col("base") + F.coalesce(F.sum(F.length("segment")).over(before), F.lit(0)))
     )
-    rotated = _joined(named, cast).withColumn("role", role).withColumn("head", head)
-    loss = F.col("role") == "assistant"
     return rotated.select(
         "conv_id",
         "assistant",
         "turn",
-        "role",
-        F.when(F.col("role") == "user", F.col("speaker")).alias("name"),
-        F.concat("head", "text", F.lit("\n<|end|>\n")).alias("segment"),
+        role.alias("role"),
+        F.when(~system & ~loss, F.col("speaker")).alias("name"),
+        "segment",
         F.when(loss, F.length("head")).otherwise(0).cast("long").alias("mask_start"),
-        F.when(loss, F.length("head") + F.length("text") + F.lit(8)).otherwise(0).cast("long").alias("mask_end"),
+        F.when(loss, F.length("segment") - 1).otherwise(0).cast("long").alias("mask_end"),
+        F.col("dialogue_start").cast("long").alias("dialogue_start"),
     )
 
 
-def _joined(named: DataFrame, cast: DataFrame) -> DataFrame:
-    """Turns with their conversation's participants; turns of hot conversations are salted.
+def dialogues(turns: DataFrame) -> DataFrame:
+    """(conv_id, assistant, text, masks): whole dialogues with the stretches that bear loss.
 
-    Fewer than ``HOT_SHARE`` conversations can each hold more than that share of all turns, so
-    the list of hot ones has a proven bound and is broadcast.
+    A row holds a whole dialogue, so conversations must fit a row; ``perspectives`` has no such
+    bound. masks: (start, end) in code points of ``text``, in order.
     """
-    sizes = named.groupBy("conv_id").agg(F.count("*").alias("n"))
-    total = named.agg(F.count("*").alias("all"))
-    hot = F.broadcast(
-        sizes.join(F.broadcast(total), F.col("n") * HOT_SHARE > F.col("all")).select(
-            F.col("conv_id").alias("hot_id"), F.lit(True).alias("is_hot")
-        )
-    )
-    is_hot = F.coalesce("is_hot", F.lit(False))
-    turn_salt = F.when(is_hot, F.pmod(F.xxhash64("turn", "speaker", "text"), F.lit(SALTS))).otherwise(0)
-    salts = F.when(is_hot, F.sequence(F.lit(0), F.lit(SALTS - 1))).otherwise(F.array(F.lit(0)))
-    left = named.join(hot, F.col("conv_id").eqNullSafe(F.col("hot_id")), "left").select(
-        "conv_id", "turn", "speaker", "text", turn_salt.cast("int").alias("salt")
-    )
-    right = cast.join(hot, F.col("conv_id").eqNullSafe(F.col("hot_id")), "left").select(
-        F.col("conv_id").alias("cast_id"), "assistant", F.explode(salts).alias("cast_salt")
+    place = F.struct("dialogue_start", "segment", "mask_start", "mask_end")
+    gathered = perspectives(turns).groupBy("conv_id", "assistant").agg(F.array_sort(F.collect_list(place)).alias("parts"))
+    masks = F.transform(
+        F.filter("parts", lambda p: p["mask_end"] > 0),
+        lambda p: F.struct((p["dialogue_start"] + p["mask_start"]).alias("start"), (p["dialogue_start"] + p["mask_end"]).alias("end")),
     )
-    same = F.col("conv_id").eqNullSafe(F.col("cast_id")) & (F.col("salt") == F.col("cast_salt"))
-    return left.join(right, same).select("conv_id", "turn", "speaker", "text", "assistant")
+    return gathered.select("conv_id", "assistant", F.array_join("parts.segment", "").alias("text"), masks.alias("masks"))

@@ -131,28 +131,30 @@ class _Compare:
     def add(self, at: int, guest: bool, doc_id: int | None, text: str) -> None:
         if self.held and self.held[0] == at:
             codes = code_points(text)
-            found = winnow(codes, self.k, self.window)[0]
+            found = winnow(codes, self.k, self.window)
             self._meet(codes, found)
             self.held = None if guest else (at, doc_id, text, codes, found)
         elif not guest:
             codes = code_points(text)
-            self.held = (at, doc_id, text, codes, winnow(codes, self.k, self.window)[0])
+            self.held = (at, doc_id, text, codes, winnow(codes, self.k, self.window))
 
-    def _meet(self, codes: np.ndarray, found: np.ndarray) -> None:
+    def _meet(self, codes: np.ndarray, found: tuple[np.ndarray, np.ndarray]) -> None:
         _, doc_id, _, own, own_found = self.held
         half = len(own) // 2
         edited = np.concatenate([own[: len(own) - half], codes[:half]])
-        edited_found = winnow(edited, self.k, self.window)[0]
+        edited_found = winnow(edited, self.k, self.window)
         text = edited.tobytes().decode("utf-32-le", "surrogatepass").encode("utf-8", "surrogatepass")
         self.rows.append(
             (
                 doc_id,
                 len(own),
                 hashlib.sha256(text).hexdigest(),
-                spelled(own_found),
-                spelled(edited_found),
-                likeness(own_found, edited_found),
-                likeness(own_found, found),
+                spelled(own_found[0]),
+                spelled(edited_found[0]),
+                likeness(own_found[0], edited_found[0]),
+                likeness(own_found[0], found[0]),
+                own_found[1].astype(np.int32),
+                edited_found[1].astype(np.int32),
             )
         )
 
@@ -170,11 +172,13 @@ _RESULT = pa.schema(
         ("edited_fingerprint", pa.string()),
         ("near_edited", pa.float64()),
         ("near_next", pa.float64()),
+        ("positions", pa.list_(pa.int32())),
+        ("edited_positions", pa.list_(pa.int32())),
     ]
 )
 _RESULT_DDL = (
     "doc_id long, n_chars long, edited_sha256 string, fingerprint string, "
-    "edited_fingerprint string, near_edited double, near_next double"
+    "edited_fingerprint string, near_edited double, near_next double, positions array<int>, edited_positions array<int>"
 )
 _LEAST = -(1 << 63)
 
@@ -182,7 +186,7 @@ _LEAST = -(1 << 63)
 def compare_with_edits(
     docs: DataFrame, k: int = K_GRAM, window: int = WINDOW, rows_per_range: int = ROWS_PER_RANGE
 ) -> DataFrame:
-    """Each text's fingerprint, that of its edited text, and how alike they are.
+    """Each text's fingerprint, that of its edited text, how alike they are, and where the chosen grams start.
 
     The edited text is the text with its last floor(n/2) code points replaced by the first as
     many of the next document in descending doc_id (null last; after the last the first; equal

@@ -228,7 +228,7 @@ def fit(docs: DataFrame, labels: DataFrame, label: str = "quality", sample: int
 
     Rows whose crc32 of the id as text leaves 1 modulo 3 are held out and never sampled. Null labels or
     ids, and labels other than 0 and 1, are left out; the label of an id that repeats is the
-    largest one.
+    largest one, its text the one of smallest hash.
     """
     vectors = word_vectors(context_vectors(docs))
     chosen = (
@@ -245,15 +245,16 @@ def fit(docs: DataFrame, labels: DataFrame, label: str = "quality", sample: int
         for batch in batches:
             rows = [features(buckets_of(t.as_py()), vectors).tolist() for t in batch.column(2)]
             yield pa.RecordBatch.from_arrays(
-                [batch.column(0), batch.column(1), pa.array(rows, pa.list_(pa.float64()))], ["id", "y", "x"]
+                [batch.column(0), batch.column(1), pa.array(rows, pa.list_(pa.float64())), batch.column(3)], ["id", "y", "x", "content"]
             )
 
     rows = (
         docs.select(F.col("doc_id").cast("long").alias("id"), whole().alias("text"))
         .join(F.broadcast(chosen), "id")  # at most ``sample`` ids
-        .select("id", "y", "text")
-        .mapInArrow(run, "id long, y int, x array<double>")
-        .dropDuplicates(["id"])
+        .select("id", "y", "text", F.xxhash64("text").alias("content"))
+        .mapInArrow(run, "id long, y int, x array<double>, content long")
+        .groupBy("id", "y")
+        .agg(F.min_by("x", "content").alias("x"))
         .toPandas()
         .sort_values("id")
     )

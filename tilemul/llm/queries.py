@@ -113,7 +113,7 @@ SELECT query_id, rank, vec_id, score FROM ranked WHERE rank <= 20
 """,
     "op6_chat": """
 WITH t AS (
-  SELECT conv_id, turn, coalesce(role, 'unknown') AS speaker, coalesce(text, '') AS text FROM conversations
+  SELECT conv_id, turn, coalesce(role, 'unknown') AS speaker, replace(coalesce(text, ''), '<|', '<||') AS text FROM conversations
 ), p AS (
   SELECT DISTINCT conv_id, speaker AS assistant FROM t WHERE speaker <> 'system'
 ), r AS (
@@ -121,13 +121,18 @@ WITH t AS (
     CASE WHEN t.speaker = 'system' THEN 'system' WHEN t.speaker = p.assistant THEN 'assistant' ELSE 'user' END AS role
   FROM t JOIN p ON t.conv_id IS NOT DISTINCT FROM p.conv_id
 ), h AS (
-  SELECT *, '<|' || role || CASE WHEN role = 'user' THEN ' name=' || speaker ELSE '' END || '|>' || chr(10) AS head FROM r
+  SELECT *, '<|' || role || CASE WHEN role = 'user' THEN ' name=' ||
+    replace(replace(replace(replace(replace(speaker, '%', '%25'), '|', '%7C'), '<', '%3C'), '>', '%3E'), chr(10), '%0A')
+    ELSE '' END || '|>' || chr(10) AS head FROM r
+), s AS (
+  SELECT *, head || text || chr(10) || '<|end|>' || chr(10) AS segment FROM h
 )
-SELECT conv_id, assistant, turn, role, CASE WHEN role = 'user' THEN speaker END AS name,
-  head || text || chr(10) || '<|end|>' || chr(10) AS segment,
+SELECT conv_id, assistant, turn, role, CASE WHEN role = 'user' THEN speaker END AS name, segment,
   CASE WHEN role = 'assistant' THEN CAST(length(head) AS BIGINT) ELSE CAST(0 AS BIGINT) END AS mask_start,
-  CASE WHEN role = 'assistant' THEN CAST(length(head) + length(text) + 8 AS BIGINT) ELSE CAST(0 AS BIGINT) END AS mask_end
-FROM h
+  CASE WHEN role = 'assistant' THEN CAST(length(segment) - 1 AS BIGINT) ELSE CAST(0 AS BIGINT) END AS mask_end,
+  CAST(coalesce(sum(length(segment)) OVER (PARTITION BY conv_id, assistant ORDER BY turn NULLS FIRST, speaker, text
+    ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) AS BIGINT) AS dialogue_start
+FROM s
 """,
     "op7_urlfilter": f"""
 WITH rules AS ({_RULES}), u AS (

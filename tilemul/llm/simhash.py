@@ -23,7 +23,7 @@ import xxhash
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import cut, whole
+from .common import cut, hot_keys, join_hot, whole
 
 #: Shingles whose bits are counted at once; bounds the memory of one very long text.
 SHINGLES_AT_ONCE = 1 << 16
@@ -236,7 +236,8 @@ def near_duplicates(
     labels = distinct.join(linked, "fp", "left").select(
         "fp", F.coalesce("component_id", "first").alias("component_id")
     )
-    return prints.join(labels, "fp").select(
+    # a fingerprint of very many copies takes its label from a broadcast
+    return join_hot(prints, labels, "fp", hot_keys(prints, "fp")).select(
         "doc_id", F.lpad(F.lower(F.hex("fp")), 16, "0").alias("fingerprint"), "component_id"
     )
 

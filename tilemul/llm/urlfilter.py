@@ -1,8 +1,9 @@
 """URL filters by hashed host-suffix and path-prefix expressions.
 
-Each URL expands into the expressions that a rule could be written as: suffixes of its host at
-label boundaries times prefixes of its path. Expressions meet rules in an equi-join on a short
-prefix of their SHA-256, full digests confirm, and the longest rule decides.
+Each URL expands into expressions: suffixes of its host at label boundaries times prefixes of its
+path at slashes. A rule is filed under its host and its path up to the last slash. Expressions meet
+rules in an equi-join on a short prefix of their SHA-256, full digests confirm, what a rule's path has
+after its last slash is compared in place, and the longest rule decides.
 """
 
 from __future__ import annotations
@@ -54,19 +55,20 @@ def judge(pages: DataFrame, rules: DataFrame, default: str = "allow", hostless:
     keyed = rules.select(
         "verdict", lower_ascii(F.col("host")).alias("host"), F.coalesce("path", F.lit("")).alias("path")
     ).where("host is not null")
-    keyed = keyed.withColumn("expression", F.concat("host", "path"))
+    folder = F.regexp_extract("path", "^.*/", 0)
+    keyed = keyed.withColumn("folder", folder)
     digest = F.sha2("expression", 256)
     table = (
-        keyed.groupBy("expression")
-        .agg(F.max("verdict").alias("verdict"), F.max(F.length("host")).alias("host_length"))
+        keyed.groupBy("host", "path", "folder")
+        .agg(F.max("verdict").alias("verdict"))
+        .withColumn("expression", F.concat("host", "folder"))
         .withColumn("digest", digest)
         .withColumn("short", F.substring("digest", 1, SHORT))
     )
-    # which expansions can be a rule: labels of a host, slashes of a path, paths not ending in one
+    # which expansions can be a rule: numbers of labels of a host and of slashes of a path
     shape = keyed.agg(
         F.collect_set(F.size(F.split("host", r"\."))).alias("labels"),
-        F.collect_set(F.when(F.col("path").endswith("/"), F.length(F.regexp_replace("path", "[^/]", "")))).alias("slashes"),
-        F.collect_set(F.when(~F.col("path").endswith("/"), F.length("path"))).alias("lengths"),
+        F.collect_set(F.length(F.regexp_replace("path", "[^/]", ""))).alias("slashes"),
         F.count("*").alias("rules"),
     ).first()
     host, path = split_url(F.col("url"))
@@ -76,29 +78,24 @@ def judge(pages: DataFrame, rules: DataFrame, default: str = "allow", hostless:
         .groupBy("page_id", "host", "path")
         .agg(F.count("*").alias("copies"))
     )
-    hosts = F.array_distinct(F.array(*(_suffix(n) for n in sorted(shape["labels"])), F.lit(None).cast("string")))
-    paths = F.array_distinct(
-        F.array(
-            *(_slashed(n) for n in sorted(shape["slashes"])),
-            *(F.when(F.length("path") >= n, F.substring("path", 1, n)) for n in sorted(shape["lengths"])),
-            F.lit(None).cast("string"),
-        )
-    )
-    expressions = F.array_compact(
-        F.flatten(F.transform(hosts, lambda h: F.transform(paths, lambda p: F.concat(h, p))))
-    )
+    # at most one expression for each label and slash that the URL itself has
+    suffixes = F.array_compact(F.array(*(_suffix(n) for n in sorted(shape["labels"])), F.lit(None).cast("string")))
+    prefixes = F.array_compact(F.array(*(_slashed(n) for n in sorted(shape["slashes"])), F.lit(None).cast("string")))
+    expressions = F.flatten(F.transform(suffixes, lambda h: F.transform(prefixes, lambda p: F.concat(h, p))))
     expanded = rows.withColumn("expression", F.explode_outer(expressions)).withColumn("digest", digest)
     expanded = expanded.withColumn("short", F.substring("digest", 1, SHORT))
     side = table.select(
-        "short", F.col("digest").alias("rule_digest"), F.col("expression").alias("rule"), F.col("verdict").alias("said"), "host_length"
+        "short", F.col("digest").alias("rule_digest"), F.concat("host", "path").alias("rule"), F.col("path").alias("rule_path"),
+        F.col("verdict").alias("said"), F.length("host").alias("host_length"),
     )
     if shape["rules"] <= BROADCAST_RULES:
         side = F.broadcast(side)
     best = F.struct(F.length("rule").alias("length"), "host_length", "rule", "said")
+    fits = (F.col("digest") == F.col("rule_digest")) & F.col("path").startswith(F.col("rule_path"))
     judged = (
         expanded.join(side, "short", "left")
         .groupBy("page_id", "host", "path", "copies")
-        .agg(F.max(F.when(F.col("digest") == F.col("rule_digest"), best)).alias("best"))
+        .agg(F.max(F.when(fits, best)).alias("best"))
     )
     verdict = F.coalesce("best.said", F.when(F.col("host") == "", F.lit(hostless)).otherwise(default))
     return judged.select(
@@ -119,5 +116,7 @@ def _suffix(labels: int) -> Column:
 
 def _slashed(slashes: int) -> Column:
     """The path up to its ``slashes``-th slash, null where it has fewer."""
+    if slashes == 0:
+        return F.lit("")
     enough = F.length(F.regexp_replace("path", "[^/]", "")) >= slashes
     return F.when(enough, F.concat(F.substring_index("path", "/", slashes), F.lit("/")))
