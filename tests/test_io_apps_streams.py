@@ -172,3 +172,20 @@ def test_entry_has_no_reference_to_data_on_import():
     import __spark_entry__ as e
 
     assert "sd_c" in e.queries() and set(e.oracle_sql()) <= set(e.queries())
+
+
+def test_betweenness_follows_long_paths(spark):
+    n = 35
+    chain = spark.range(n - 1).select(F.col("id").alias("i"), (F.col("id") + 1).alias("j"), F.lit(1).cast("long").alias("v"))
+    found = {r.node: r.score for r in graphs.betweenness(Matrix(chain, n, n), spark.range(1)).collect()}
+    assert all(found[k] == n - 1 - k for k in range(1, n - 1))
+
+
+def test_terms_are_numbered_over_many_ranges(spark, sf, monkeypatch):
+    whole = {(r.i, r.j): r.v for r in tables.doc_term(spark, sf).df.collect()}
+    monkeypatch.setattr(tables, "TOKENS_PER_RANGE", 500)
+    a = tables.doc_term(spark, sf)
+    assert {(r.i, r.j): r.v for r in a.df.collect()} == whole
+    texts = {r.doc_id: r.text for r in tables.table(spark, sf, "documents").collect()}
+    terms = sorted({t for x in texts.values() for t in x.lower().split(" ") if t}, key=lambda t: t.encode())
+    assert a.cols == len(terms) and sum(whole.values()) == sum(len([t for t in x.lower().split(" ") if t]) for x in texts.values())
