@@ -63,6 +63,21 @@ def op10_licenses(spark: SparkSession, sf_dir: str) -> DataFrame:
     return found.withColumn("n_detections", F.size("detections").cast("long")).drop("detections")
 
 
+def edited_texts(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The part of operator 1's result that SQL can express."""
+    return op1_winnowing(spark, sf_dir).select("doc_id", "n_chars", "edited_sha256")
+
+
+def mixing_targets(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The part of operator 3's result that SQL can express."""
+    return op3_mixing(spark, sf_dir).select("doc_id", "size", "source_size", F.round("target", 4).alias("target"))
+
+
+def license_phrases(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The part of operator 10's result that SQL can express."""
+    return op10_licenses(spark, sf_dir).select("doc_id", "n_words", "n_base", "first_word", "last_word", "base_labels")
+
+
 def pipeline(spark: SparkSession, sf_dir: str) -> DataFrame:
     """The corpus pipeline at the top of the repository."""
     import corpus_pipeline
@@ -83,6 +98,9 @@ QUERIES = {
         op8_pii,
         op9_simhash,
         op10_licenses,
+        edited_texts,
+        mixing_targets,
+        license_phrases,
         pipeline,
     )
 }
@@ -91,7 +109,39 @@ _RULES = " UNION ALL ".join(
     f"SELECT '{v}' AS said, '{h}' AS rule_host, '{p}' AS rule_path" for v, h, p in urlfilter.RULES
 )
 
+_UPPER, _LOWER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
+_PHRASES = " UNION ALL ".join(
+    f"SELECT [{', '.join(repr(w) for w in phrase.split())}] AS phrase, '{label}' AS label" for phrase, label in licenses.PHRASES.items()
+)
+
 ORACLES = {
+    "edited_texts": """
+WITH t AS (SELECT doc_id, coalesce(text, '') AS text, row_number() OVER (ORDER BY doc_id DESC NULLS LAST, coalesce(text, '')) AS n FROM documents),
+e AS (SELECT doc_id, text, length(text) AS n_chars, coalesce(lead(text) OVER (ORDER BY n), first_value(text) OVER (ORDER BY n)) AS following FROM t)
+SELECT doc_id, CAST(n_chars AS BIGINT) AS n_chars,
+  sha256(substring(text, 1, n_chars - n_chars // 2) || substring(following, 1, n_chars // 2)) AS edited_sha256 FROM e
+""",
+    "mixing_targets": """
+WITH d AS (SELECT doc_id, source, len(regexp_extract_all(coalesce(text, ''), '[^\\x20\\x09-\\x0D]+')) AS size FROM documents),
+s AS (SELECT source, sum(size) AS words, row_number() OVER (ORDER BY source NULLS LAST) - 1 AS n FROM d GROUP BY source),
+w AS (SELECT *, CAST(CASE n % 3 WHEN 0 THEN 5 WHEN 1 THEN 2 ELSE 1 END AS DOUBLE) AS w, 2.0::DOUBLE * words AS cap, 1.5::DOUBLE * sum(words) OVER () AS shared FROM s),
+o AS (SELECT *, row_number() OVER (ORDER BY cap / w, n) AS place FROM w),
+l AS (SELECT *, (shared - coalesce(sum(cap) OVER (ORDER BY place ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0))
+  / sum(w) OVER (ORDER BY place ROWS BETWEEN CURRENT ROW AND UNBOUNDED FOLLOWING) AS level FROM o),
+f AS (SELECT min_by(level, place) AS level FROM l WHERE level <= cap / w)
+SELECT doc_id, CAST(size AS BIGINT) AS size, CAST(words AS BIGINT) AS source_size, round(least(cap, coalesce(l.w * f.level, cap)), 4) AS target
+FROM d JOIN l ON d.source IS NOT DISTINCT FROM l.source, f
+""",
+    "license_phrases": f"""
+WITH t AS (SELECT doc_id, row_number() OVER () AS row,
+  regexp_extract_all(translate(coalesce(text, ''), '{_UPPER}', '{_LOWER}'), '[^\\x00-\\x2F\\x3A-\\x60\\x7B-\\x7F]+') AS words FROM documents),
+p AS ({_PHRASES}),
+u AS (SELECT row, words, unnest(range(len(words))) AS i FROM t WHERE list_has_any(words, ['license', 'by'])),
+m AS (SELECT row, i, label FROM u JOIN p ON words[i + 1] = phrase[1] AND list_slice(words, i + 1, i + len(phrase)) = phrase),
+g AS (SELECT row, count(*) AS n, min(i) AS low, max(i) AS high, array_to_string(list_sort(list(DISTINCT label)), ',') AS labels FROM m GROUP BY row)
+SELECT doc_id, CAST(len(words) AS BIGINT) AS n_words, CAST(coalesce(n, 0) AS BIGINT) AS n_base, CAST(low AS BIGINT) AS first_word,
+  CAST(high AS BIGINT) AS last_word, coalesce(labels, '') AS base_labels FROM t LEFT JOIN g USING (row)
+""",
     "op4_topk": """
 WITH numbered AS (
   SELECT row_number() OVER () AS row, vec_id, embedding FROM embeddings WHERE embedding IS NOT NULL AND vec_id IS NOT NULL
