@@ -5,6 +5,7 @@ from __future__ import annotations
 from collections.abc import Callable
 from dataclasses import replace
 
+import numpy as np
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import Window
@@ -280,10 +281,11 @@ def ss_banded(spark, d):
     return _out(planner.multiply(a, a, "c"))
 
 
-@query("ss_copurchase", sql.product(sql.COPURCHASE, sql.COPURCHASE))
+@query("ss_copurchase", sql.digest(sql.product(sql.COPURCHASE, sql.COPURCHASE)))
 def ss_copurchase(spark, d):
+    """All of a nearly full square, summed up by column."""
     a = tables.copurchase(spark, d)
-    return _out(planner.multiply(a, a, "b"))
+    return _digest(planner.multiply(a, a, "b"))
 
 
 @query("ss_emb_graph", sql.product(sql.EMB_GRAPH, sql.EMB_GRAPH))
@@ -589,6 +591,30 @@ def roofline_sd(spark, d):
     return df.select("name", "n", giga("local_roof"), giga("net_roof"), giga("attainable"), "bound")
 
 
+_FIXTURES = (("order_part", "part", "p_partkey"), ("supp_part", "part", "p_partkey"), ("banded", "orders", "o_orderkey"))
+_FIXTURE_TEXT = {"order_part": (sql.ORDER_PART, "orders", "o_orderkey"), "supp_part": (sql.SUPP_PART, "supplier", "s_suppkey"), "banded": (sql.BANDED, "orders", "o_orderkey")}
+_FIXTURE_ROWS = " UNION ALL ".join(
+    f"SELECT '{name}' AS name, (SELECT max({_FIXTURE_TEXT[name][2]}) + 1 FROM {_FIXTURE_TEXT[name][1]}) AS m, (SELECT max({key}) + 1 FROM {keys}) AS k, count(*) AS nnz FROM ({_FIXTURE_TEXT[name][0]})"
+    for name, keys, key in _FIXTURES
+)
+
+
+@query("roofline_fixtures", f"""WITH f AS (SELECT name, CAST(m AS DOUBLE) AS m, CAST(k AS DOUBLE) AS k, CAST(nnz AS DOUBLE) AS nnz, CAST(n AS DOUBLE) AS n, CAST(24 AS DOUBLE) AS p
+FROM ({_FIXTURE_ROWS}), (VALUES (128), (256), (512)) w(n)),
+z AS (SELECT *, 2 * nnz / p + m / sqrt(p) + 1 AS a, k * n / p AS b, m * n / p AS c, 2 * nnz * n / (p * sqrt(p)) AS f FROM f)
+SELECT name, CAST(n AS BIGINT) AS n, round(f / (4 * (a + b)), 6) AS ai_net, round(f / (4 * (a + b + c)), 6) AS ai_local,
+round(least(least(16e12, f / (4 * (a + b + c)) * 900e9), f / (4 * (a + b)) * 3.83e9) / 1e9, 6) AS attainable FROM z""")
+def roofline_fixtures(spark, d):
+    """Rooflines with the statistics of the given tables' matrices, on 24 workers."""
+    rows = []
+    for name, _, _ in _FIXTURES:
+        a = getattr(tables, name)(spark, d)
+        rows += [(name, a.rows, a.cols, n, nnz, 24) for nnz in [a.nnz()] for n in (128, 256, 512)]
+    params = roofline.parameters(spark, rows, "name string, m long, k long, n long, nnz long, p long")
+    df = roofline.roofline(roofline.with_sparse_dense(params)).withColumn("attainable", F.col("attainable") / 1e9)
+    return _rounded(df.select("name", "n", "ai_net", "ai_local", "attainable"), "ai_net", "ai_local", "attainable")
+
+
 _SS_PS = (4, 16, 24, 64, 256)
 _SS_ROWS = [("isolates-4", 4_400_000, 327_000_000, p, cf) for p in _SS_PS for cf in (1.0, 2.0, 4.0)]
 
@@ -1204,6 +1230,18 @@ def subspace_step(spark, d):
     return y.join(other, "i").groupBy(F.col("j").alias("r"), "c").agg(F.sum(F.col("v") * F.col("w")).alias("g"))
 
 
+@query("gnn_layer", f"""WITH g AS (SELECT i, j FROM ({sql.EMB_GRAPH}) UNION ALL SELECT r AS i, r AS j FROM range((SELECT max(vec_id) + 1 FROM embeddings)) t(r)),
+s AS (SELECT i, count(*) AS s FROM g GROUP BY i),
+h AS (SELECT vec_id AS i, generate_subscripts(embedding, 1) - 1 AS j, floor(1000 * CAST(unnest(embedding) AS DOUBLE) + 0.5) AS v FROM embeddings),
+x AS (SELECT h.i, o AS j, sum(h.v * ((31 * h.j + 17 * o) % 97 - 48) / 97.0::DOUBLE) AS v FROM h, range(4) w(o) GROUP BY ALL)
+SELECT g.i AS i, x.j AS j, round(sum(x.v / sqrt(a.s) / sqrt(b.s)), 4) AS v FROM g JOIN x ON g.j = x.i JOIN s a ON g.i = a.i JOIN s b ON g.j = b.i GROUP BY ALL""")
+def gnn_layer(spark, d):
+    """One layer of graph propagation, from 64 features to 4."""
+    a, h = tables.emb_graph(spark, d), tables.emb_b(spark, d, exact=True)
+    w = (np.add.outer(31 * np.arange(h.cols), 17 * np.arange(4)) % 97 - 48) / 97.0
+    return _rounded(_out(learning.propagate(a, h, [w])), "v", digits=4)
+
+
 _W4 = sql.grid_b("supplier", "s_suppkey", 4)
 _H4 = sql.grid_b("part", "p_partkey", 4)
 
