@@ -9,17 +9,7 @@ def brute_similar(a, b):
     return 5 * len(x & y) >= 4 * len(x | y)
 
 
-def test_near_copies_equal_brute_force(docs_of):
-    rng = np.random.default_rng(8)
-    texts = []
-    for _ in range(12):
-        words = [f"w{x}" for x in rng.integers(0, 3000, 200)]
-        texts.append(" ".join(words))
-        for edits in (1, 2, 3, 4, 5, 8, 20):
-            some = words[:]
-            for at in rng.choice(200, edits, replace=False).tolist():
-                some[at] = "edited"
-            texts.append(" ".join(some))
+def brute_kept(texts):
     parent = list(range(len(texts)))
 
     def find(x):
@@ -27,17 +17,48 @@ def test_near_copies_equal_brute_force(docs_of):
             x = parent[x]
         return x
 
-    wide = 0
     for i in range(len(texts)):
         for j in range(i):
             if brute_similar(texts[i], texts[j]):
-                bits = simhash.fingerprint(texts[i]) ^ simhash.fingerprint(texts[j])
-                wide += bits.bit_count() > 3
                 a, b = find(i), find(j)
                 parent[max(a, b)] = min(a, b)
-    assert wide  # pairs that three bits of a fingerprint do not link
+    return sorted({find(i) for i in range(len(texts))})
+
+
+def test_near_copies_equal_brute_force(docs_of):
+    rng = np.random.default_rng(8)
+    texts = []
+    for _ in range(12):
+        words = [f"w{x}" for x in rng.integers(0, 3000, 200)]
+        texts.append(" ".join(words))
+        for edits in (1, 2, 3, 4, 5, 8, 20):
+            some = words[:]
+            for at in rng.choice(200, edits, replace=False).tolist():
+                some[at] = "edited"
+            texts.append(" ".join(some))
+    pairs = [(a, b) for a in texts for b in texts if a < b and brute_similar(a, b)]
+    # pairs that three bits of a fingerprint do not link
+    assert any((simhash.fingerprint(a) ^ simhash.fingerprint(b)).bit_count() > 3 for a, b in pairs)
     kept = sorted(r.doc_id for r in nearcopies.keep_one(docs_of(texts)).collect())
-    assert kept == sorted({find(i) for i in range(len(texts))})
+    assert kept == brute_kept(texts)
+
+
+def test_crowded_bands_lose_nothing(docs_of):
+    """Texts around one common passage, some of them near copies of each other."""
+    rng = np.random.default_rng(3)
+    passage = [f"p{n}" for n in range(120)]
+    texts = []
+    for n in range(40):
+        own = [f"o{n}x{k}" for k in range(60)]
+        texts.append(" ".join(own[:30] + passage + own[30:]))
+        if n % 3 == 0:
+            own[int(rng.integers(0, 60))] = "other"
+            texts.append(" ".join(own[:30] + passage + own[30:]))
+    docs, want = docs_of(texts), brute_kept(texts)
+    assert len(want) == 40
+    for hot_band in (nearcopies.HOT_BAND, 3, 1):
+        found = nearcopies.near_copies(docs, hot_band).groupBy("component").agg({"doc_id": "min"}).collect()
+        assert sorted(r[1] for r in found) == want
 
 
 def test_stage_drops_near_copies_with_wide_fingerprints(spark, docs_of):
