@@ -92,8 +92,9 @@ def split_quotas(quotas: np.ndarray, shards: int, seed: int = SEED) -> np.ndarra
     return out
 
 
-def _numbered(sources: DataFrame) -> DataFrame:
-    """``sources`` with ``source_no`` from 0 by code point, null last: ranges are counted, not gathered."""
+def _numbered(sources: DataFrame) -> tuple[DataFrame, int]:
+    """``sources`` with ``source_no`` from 0 by code point, null last, and their number: ranges are counted, not gathered."""
+    sources = cut(sources)
     n = sources.count()
     parts = max(1, -(-n // 200_000))
     ordered = sources.withColumn("none", F.col("source").isNull())
@@ -103,25 +104,26 @@ def _numbered(sources: DataFrame) -> DataFrame:
         ordered = ordered.coalesce(1)
     placed = cut(ordered.sortWithinPartitions("none", "source").withColumn("at", F.monotonically_increasing_id()))
     part = F.shiftright("at", 33)
-    sizes = sorted((r["part"], r["n"]) for r in placed.groupBy(part.alias("part")).agg(F.count("*").alias("n")).collect())
+    sizes = [(0, n)]
+    if parts > 1:
+        sizes = sorted((r["part"], r["n"]) for r in placed.groupBy(part.alias("part")).agg(F.count("*").alias("n")).collect())
     before, total = F.lit(0).cast("long"), 0
     for p, many in sizes:  # one entry for each 200,000 sources
         before = F.when(part == p, F.lit(total)).otherwise(before)
         total += many
     number = before + F.col("at").bitwiseAND(F.lit((1 << 33) - 1))
-    return placed.select("source", "words", "docs", number.cast("long").alias("source_no"))
+    return placed.select("source", "words", "docs", number.cast("long").alias("source_no")), n
 
 
 def _with_targets(sources: DataFrame, weights: tuple[float, ...], share: float, most: float) -> DataFrame:
     """``sources`` with their targets: the water level rises until no source is above its stop."""
     weight = F.element_at(F.array(*(F.lit(float(w)) for w in weights)), (F.pmod("source_no", F.lit(len(weights))) + 1).cast("int"))
-    table = cut(sources.withColumn("w", weight).withColumn("cap", F.col("words") * float(most)))
-    total = table.agg(F.sum("words")).first()[0] or 0
+    table = sources.withColumn("w", weight).withColumn("cap", F.col("words") * float(most))
     level = 0.0
     while True:
         over = F.col("w") * F.lit(level) >= F.col("cap")
-        stopped, free = table.agg(F.sum(F.when(over, F.col("cap"))), F.sum(F.when(~over, F.col("w")))).first()
-        left = share * total - (stopped or 0.0)
+        total, stopped, free = table.agg(F.sum("words"), F.sum(F.when(over, F.col("cap"))), F.sum(F.when(~over, F.col("w")))).first()
+        left = share * (total or 0) - (stopped or 0.0)
         if not free or left <= 0 or left / free <= level:
             break
         level = left / free
@@ -149,8 +151,8 @@ class Plan:
     shares: (source_no, key0, key1, share): words that each row with that key gives to its cut block.
     """
 
-    def __init__(self, sources: DataFrame, shares: DataFrame, shards: int, seed: int) -> None:
-        self.sources, self.shares, self.shards, self.seed = sources, shares, shards, seed
+    def __init__(self, sources: DataFrame, many: int, shares: DataFrame, shards: int, seed: int) -> None:
+        self.sources, self.many, self.shares, self.shards, self.seed = sources, many, shares, shards, seed
 
 
 def plan(
@@ -173,15 +175,15 @@ def plan(
     keys = _key(seed)
     sized = cut(docs.select(*keys, "source", words_in(whole()).alias("size")))
     totals = sized.groupBy("source").agg(F.sum("size").alias("words"), F.count("*").alias("docs"))
-    table = _with_targets(_numbered(totals), weights, share, most)
+    numbered, many = _numbered(totals)
+    table = _with_targets(numbered, weights, share, most)
     passes = F.when(F.col("words") > 0, F.least(F.floor(F.col("target") / F.col("words")), F.lit(int(most)))).otherwise(0)
     blocks = F.greatest(F.lit(1), F.ceil(F.col("docs") / block))
-    table = cut(
-        table.select("source", "source_no", "words", "target", blocks.cast("long").alias("blocks"), passes.cast("long").alias("passes"))
-        .withColumn("over", F.round(F.col("target") - F.col("passes") * F.col("words")).cast("long"))
-    )
+    table = table.select(
+        "source", "source_no", "words", "target", blocks.cast("long").alias("blocks"), passes.cast("long").alias("passes")
+    ).withColumn("over", F.round(F.col("target") - F.col("passes") * F.col("words")).cast("long"))
     # words of each block, in the permuted order of the pass that is not taken whole
-    rows = _with_source(sized, table).withColumn("block", F.pmod("key0", F.col("blocks")))
+    rows = _with_source(sized, table, many).withColumn("block", F.pmod("key0", F.col("blocks")))
     by_rank = cut(
         rows.withColumn("rank", _rank(F.col("block"), F.col("passes"), seed))
         .groupBy("source_no", "rank", "over")
@@ -192,17 +194,15 @@ def plan(
     last = _crossing(by_rank).select("source_no", "rank", "before")
     with_last = table.join(last, "source_no", "left")
     cut_rank = F.when(F.col("over") > 0, F.col("rank"))
-    quotas = cut(
-        with_last.select(
-            "source", "source_no", F.col("words").alias("source_size"), "target", "blocks", "passes", cut_rank.alias("cut_rank"),
-            F.when(F.col("over") > 0, F.col("over") - F.col("before")).otherwise(0).alias("left_over"),
-            (F.col("passes") * F.col("blocks") + F.coalesce(cut_rank + 1, F.lit(0))).cast("long").alias("quota"),
-        )
+    quotas = with_last.select(
+        "source", "source_no", F.col("words").alias("source_size"), "target", "blocks", "passes", cut_rank.alias("cut_rank"),
+        F.when(F.col("over") > 0, F.col("over") - F.col("before")).otherwise(0).alias("left_over"),
+        (F.col("passes") * F.col("blocks") + F.coalesce(cut_rank + 1, F.lit(0))).cast("long").alias("quota"),
     )
     sources = cut(quotas.join(_ends(quotas, shards, seed), "source_no"))
     # rows of each source's cut block, equal ones as one: what is left for them
     block_rows = (
-        _with_source(sized, sources.select("source", "source_no", "blocks", "passes", "cut_rank", "left_over"))
+        _with_source(sized, sources.select("source", "source_no", "blocks", "passes", "cut_rank", "left_over"), many)
         .where(F.col("cut_rank") == _rank(F.pmod("key0", F.col("blocks")), F.col("passes"), seed))
         .groupBy("source_no", "key0", "key1", "size", "left_over")
         .agg(F.count("*").alias("copies"))
@@ -211,13 +211,13 @@ def plan(
     given = F.col("left_over") - F.coalesce(F.sum(F.col("size") * F.col("copies")).over(before), F.lit(0))
     each = F.floor(F.least(F.greatest(given, F.lit(0)) / F.col("copies"), F.col("size")))
     shares = cut(block_rows.withColumn("share", each.cast("long")).select("source_no", "key0", "key1", "share"))
-    return Plan(sources, shares, shards, seed)
+    return Plan(sources, many, shares, shards, seed)
 
 
-def _with_source(rows: DataFrame, table: DataFrame) -> DataFrame:
+def _with_source(rows: DataFrame, table: DataFrame, many: int) -> DataFrame:
     """``rows`` with their source's columns; a small table is broadcast, skew of a large one is left to adaptive joins."""
     other = table.withColumnRenamed("source", "of_source")
-    if table.count() <= BROADCAST_ROWS:
+    if many <= BROADCAST_ROWS:
         other = F.broadcast(other)
     return rows.join(other, F.col("source").eqNullSafe(F.col("of_source"))).drop("of_source")
 
@@ -259,7 +259,7 @@ def with_draws(docs: DataFrame, mix_plan: Plan) -> DataFrame:
     """
     seed = mix_plan.seed
     keyed = docs.select("*", *_key(seed), words_in(whole()).alias("size"))
-    rows = _with_source(keyed, mix_plan.sources).withColumn("block", F.pmod("key0", F.col("blocks")))
+    rows = _with_source(keyed, mix_plan.sources, mix_plan.many).withColumn("block", F.pmod("key0", F.col("blocks")))
     shares = mix_plan.shares
     if shares.count() <= BROADCAST_ROWS:
         shares = F.broadcast(shares)
