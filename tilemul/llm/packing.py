@@ -29,6 +29,8 @@ PIECES_PER_PARTITION = 4000
 ROUNDS = 12
 #: A settled partition gives up bins with this share of room or more.
 ROOMY = 1 / 16
+#: Up to so many partitions each get a task of their own; more are dealt by hash, which is even then.
+OWN_TASKS = 20_000
 
 class Encoder:
     """Ids of the byte-level BPE in a ``tokenizers`` file, the same as that library gives.
@@ -184,7 +186,7 @@ def best_fit_decreasing(lengths: np.ndarray, sequence: int = SEQUENCE) -> tuple[
 _PACKED_DDL = "row long, length long, part int, bin long, offset long, room long, bins long, bound long"
 
 
-def _pack_partitions(parts: DataFrame, sequence: int) -> DataFrame:
+def _pack_partitions(parts: DataFrame, many: int, sequence: int) -> DataFrame:
     """Each partition packed by itself, with its number of bins and its certified bound."""
 
     def run(rows: pd.DataFrame) -> pd.DataFrame:
@@ -194,6 +196,8 @@ def _pack_partitions(parts: DataFrame, sequence: int) -> DataFrame:
         bound = lower_bound(np.bincount(lengths, minlength=sequence + 1), sequence)
         return rows.assign(bin=bins, offset=offsets, room=rooms[bins], bins=len(rooms), bound=bound)
 
+    if many <= OWN_TASKS:
+        parts = parts.repartitionById(many, F.col("part"))
     return parts.groupBy("part").applyInPandas(run, _PACKED_DDL)
 
 
@@ -221,7 +225,7 @@ def pack(
             break
         parts = max(1, -(-n // pieces_per_partition))
         part = F.pmod(F.xxhash64("row", F.lit(round_no)), F.lit(parts)).cast("int")
-        packed = cut(_pack_partitions(rest.select("row", "length", part.alias("part")), sequence))
+        packed = cut(_pack_partitions(rest.select("row", "length", part.alias("part")), parts, sequence))
         last = parts == 1 or round_no == rounds - 1
         opened = (F.col("room") > 0) & ((F.col("bins") > F.col("bound")) | (F.col("room") >= sequence * ROOMY))
         settled = (packed if last else packed.where(~opened)).withColumn("round", F.lit(round_no))
