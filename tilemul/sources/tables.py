@@ -151,12 +151,12 @@ def doc_term(spark: SparkSession, sf_dir: str) -> Matrix:
     return Matrix(cells, _size(table(spark, sf_dir, "documents"), "doc_id"), words.count())
 
 
-def emb_graph(spark: SparkSession, sf_dir: str, block: int = 512) -> Matrix:
+def emb_graph(spark: SparkSession, sf_dir: str, block: int = 4096) -> Matrix:
     """Pairs of vectors with cosine of 0.2 or more, tested in whole numbers.
 
     The fixture is A·Aᵀ over quantized components, thresholded. Vectors are packed into blocks of
-    bounded size, every block meets every other by an equi-join on the block's number, and a
-    dense product of two blocks keeps only the pairs that pass.
+    bounded size, every block meets itself and those after it by an equi-join on the block's number,
+    and dense products of slices of two blocks keep only the pairs that pass, in both directions.
     """
     vectors = table(spark, sf_dir, "embeddings").select("vec_id", "embedding")
     n = _size(vectors, "vec_id")
@@ -171,19 +171,25 @@ def emb_graph(spark: SparkSession, sf_dir: str, block: int = 512) -> Matrix:
         pack, "b int, dim int, ids binary, x binary"
     )
     right = packed.select("b", F.col("ids").alias("ids2"), F.col("x").alias("x2"))
-    left = packed.select("dim", "ids", "x", F.explode(F.sequence(F.lit(0), F.lit(blocks - 1))).alias("b"))
+    left = packed.select(F.col("b").alias("own"), "dim", "ids", "x", F.explode(F.sequence(F.col("b"), F.lit(blocks - 1))).alias("b"))
 
     def pairs(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for r in batch.to_pylist():
                 i, j = np.frombuffer(r["ids"], "<i8"), np.frombuffer(r["ids2"], "<i8")
                 x, y = (np.frombuffer(r[c], "<f8").reshape(-1, r["dim"]) for c in ("x", "x2"))
-                s = x @ y.T  # whole numbers far below 2**53: exact
-                alike = (s > 0) & (25 * s * s >= np.outer((x * x).sum(1), (y * y).sum(1))) & (i[:, None] != j[None, :])
-                at_i, at_j = np.nonzero(alike)
-                yield pa.RecordBatch.from_arrays([pa.array(i[at_i]), pa.array(j[at_j])], ["i", "j"])
-
-    edges = left.join(right, "b").select("dim", "ids", "x", "ids2", "x2").mapInArrow(pairs, "i long, j long")
+                length = (y * y).sum(1)
+                for at in range(0, len(i), 512):
+                    some, ids = x[at : at + 512], i[at : at + 512]
+                    s = some @ y.T  # whole numbers far below 2**53: exact
+                    alike = (s > 0) & (25 * s * s >= np.outer((some * some).sum(1), length)) & (ids[:, None] != j[None, :])
+                    at_i, at_j = np.nonzero(alike)
+                    yield pa.RecordBatch.from_arrays([pa.array(ids[at_i]), pa.array(j[at_j])], ["i", "j"])
+                    if r["own"] != r["b"]:
+                        yield pa.RecordBatch.from_arrays([pa.array(j[at_j]), pa.array(ids[at_i])], ["i", "j"])
+
+    met = left.join(right, "b").select("own", "b", "dim", "ids", "x", "ids2", "x2")
+    edges = met.mapInArrow(pairs, "i long, j long")
     return Matrix(edges.select("i", "j", F.lit(1).cast("long").alias("v")), n, n)
 
 
