@@ -10,6 +10,7 @@ import uuid
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.types import LongType, StructField, StructType
 
 from ..matrix import Matrix
 from ..operators.products import BROADCAST_ENTRIES
@@ -96,7 +97,9 @@ def run(result: DataFrame, mode: str = "append", folder: str | None = None, keys
             raise ValueError("update needs the keys that rows are latest of")
         put = lambda batch, n: batch.write.mode("overwrite").parquet(f"{folder}/out/batch={n}")
         writer.foreachBatch(put).start().awaitTermination()
-        rows = spark.read.option("basePath", f"{folder}/out").schema(result.schema.add("batch", "long")).parquet(f"{folder}/out")
+        # a schema of its own: ``add`` would change the one that ``result`` keeps
+        stored = StructType([*result.schema.fields, StructField("batch", LongType())])
+        rows = spark.read.option("basePath", f"{folder}/out").schema(stored).parquet(f"{folder}/out")
         rest = [c for c in result.columns if c not in keys]
         latest = rows.groupBy(*keys).agg(F.max_by(F.struct(*rest), "batch").alias("latest"))
         return latest.select(*(F.col(c) if c in keys else F.col(f"latest.{c}").alias(c) for c in result.columns))
