@@ -74,3 +74,15 @@ def test_stage_drops_near_copies_with_wide_fingerprints(spark, docs_of):
     texts = [" ".join(base), " ".join(copy), "something else stands in this text", "short", "Short ", None, ""]
     kept = corpus_pipeline.near_dedup(spark, docs_of(texts), "")
     assert sorted(r.doc_id for r in kept.collect()) == [0, 2, 3, 5]
+
+
+def test_fingerprints_link_before_bands(spark, docs_of, monkeypatch):
+    """The method's own step stands in the stage: without bands it still links what is within three bits."""
+    words = [f"v{n}" for n in range(400)]
+    copy = words[:]
+    copy[399] = "other"
+    texts = [" ".join(words), " ".join(copy), " ".join(f"z{n}" for n in range(400))]
+    prints = [nearcopies.print_of(nearcopies.shingles(nearcopies.words_of(t))) for t in texts]
+    assert ((prints[0] ^ prints[1]) & (2**64 - 1)).bit_count() <= 3
+    monkeypatch.setattr(nearcopies, "bands", lambda found: np.zeros(0, np.int64))
+    assert sorted(r.doc_id for r in nearcopies.keep_one(docs_of(texts)).collect()) == [0, 2]

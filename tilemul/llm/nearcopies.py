@@ -3,7 +3,9 @@
 The fingerprints of ``simhash`` cannot see this similarity: at 0.8 two fingerprints differ in 15 % of
 their bits, so that 99 % of such pairs ask for 40 segments of 24 bits with balls of radius one (some 520
 rows a document, and segments so short that unlike texts meet), or 126 segments of 32 bits (some 2,100 rows).
-Candidates therefore meet in bands of minima of hashed shingles, 30 rows a document. At similarity 0.8 a band of five minima is
+The method's own step comes first all the same: 64-bit fingerprints of the five-word shingles meet within three bits through
+segments and balls, as in ``simhash``, and the pairs they give are checked. What they cannot see
+meets in bands of minima of hashed shingles, 30 rows a document. At similarity 0.8 a band of five minima is
 shared with probability 0.33, so that 30 bands miss a pair with probability 7e-6, and a closer
 pair more rarely still. Every candidate pair is then checked on the complete sets of shingles.
 
@@ -23,11 +25,12 @@ from collections.abc import Iterator
 import numpy as np
 import pyarrow as pa
 import xxhash
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from ..session import settings
 from .common import cut, hot_keys, join_hot, whole
-from .simhash import components, survivors
+from .simhash import components, count_bits, links, survivors
 
 #: Words of a shingle, and the least similarity as a fraction.
 SHINGLE = 5
@@ -38,6 +41,8 @@ _BLOCK = 1 << 11
 ROUNDS = 2
 #: Bands with more nodes than this after these rounds meet at rare shingles.
 HOT_BAND = 8
+#: Tallies that shingles of crowded bands are counted in; more shingles than this share them.
+TALLIES = 1 << 20
 
 _RNG = np.random.default_rng(42)
 _FLIPS = _RNG.integers(0, 1 << 63, ROWS * BANDS, dtype=np.uint64)
@@ -91,17 +96,24 @@ def similar(x: np.ndarray, y: np.ndarray) -> bool:
     return LEAST[1] * both >= LEAST[0] * (len(x) + len(y) - both)
 
 
+def print_of(found: np.ndarray) -> int:
+    """The 64-bit fingerprint of a set of shingles; an empty set has zero."""
+    bits = np.flatnonzero(2 * count_bits(found) > len(found)) if len(found) else []
+    return int(np.uint64(sum(1 << int(b) for b in bits)).astype(np.int64))
+
+
 def _nodes(docs: DataFrame) -> DataFrame:
-    """(doc_id, content, node, size, bands) for every row of ``docs``."""
+    """(doc_id, content, words, size, print, bands) for every row of ``docs``."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            nodes, sizes, keys = [], [], []
+            nodes, sizes, prints, keys = [], [], [], []
             for t in batch.column(2):
                 words = words_of(t.as_py())
                 found = shingles(words)
                 nodes.append(node_of(words))
                 sizes.append(len(found))
+                prints.append(print_of(found))
                 keys.append(bands(found))
             yield pa.RecordBatch.from_arrays(
                 [
@@ -109,32 +121,32 @@ def _nodes(docs: DataFrame) -> DataFrame:
                     batch.column(1),
                     pa.array(nodes, pa.int64()),
                     pa.array(sizes, pa.int64()),
+                    pa.array(prints, pa.int64()),
                     pa.array(keys, pa.list_(pa.int64())),
                 ],
-                ["doc_id", "content", "node", "size", "bands"],
+                ["doc_id", "content", "words", "size", "print", "bands"],
             )
 
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.xxhash64(whole()).alias("content"), whole().alias("text"))
-    return rows.mapInArrow(run, "doc_id long, content long, node long, size long, bands array<long>")
+    return rows.mapInArrow(run, "doc_id long, content long, words long, size long, print long, bands array<long>")
 
 
 def _sets(docs: DataFrame, needed: DataFrame) -> DataFrame:
-    """(node, found BINARY: sorted shingles) for the texts whose ``content`` is needed."""
+    """(node, found BINARY: sorted shingles) for the texts whose ``content`` is needed as a node.
+
+    Dealt by node once, so that a checkpoint of it joins again and again without moving.
+    """
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            words = [words_of(t.as_py()) for t in batch.column(0)]
-            yield pa.RecordBatch.from_arrays(
-                [
-                    pa.array([node_of(w) for w in words], pa.int64()),
-                    pa.array([shingles(w).tobytes() for w in words], pa.binary()),
-                ],
-                ["node", "found"],
-            )
+            found = [shingles(words_of(t.as_py())).tobytes() for t in batch.column(1)]
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(found, pa.binary())], ["node", "found"])
 
-    texts = docs.select(F.xxhash64(whole()).alias("content"), whole().alias("text"))
-    one = texts.join(needed, "content", "left_semi").select("text").mapInArrow(run, "node long, found binary")
-    return one.dropDuplicates(["node"])
+    parts = int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    texts = docs.select(F.xxhash64(whole()).alias("node"), whole().alias("text"))
+    # one row of each text before it is dealt: a group of exact copies would go to one task
+    sets = texts.mapInArrow(run, "node long, found binary").groupBy("node").agg(F.first("found").alias("found"))
+    return sets.repartition(parts, "node").join(needed.repartition(parts, "node"), "node", "left_semi")
 
 
 def _checked(pairs: DataFrame, sets: DataFrame) -> DataFrame:
@@ -164,29 +176,42 @@ def _sized(pairs: DataFrame) -> DataFrame:
 def _rare_pairs(nodes: DataFrame, sets: DataFrame) -> DataFrame:
     """(a, b, m, n): pairs of ``nodes`` (node, size, root) of different roots that share a rare shingle.
 
-    Shingles stand in order of how many of the nodes have them. Sets of m and n shingles at similarity
+    Shingles stand in order of how many of the nodes have them, or others of their tally: any order that
+    all sets share loses nothing. Sets of m and n shingles at similarity
     0.8 share 4/9 of m + n or more; so some shared one stands among the first m, and n, less that
     many and one more. A set's first fifth and one more is looked at, then both sizes narrow the places.
     """
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    chosen = nodes.select("node", "root")
+    held = sets.join(chosen, "node").select("node", "root", "found")
+
+    def tally(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        many = np.zeros(TALLIES, np.int64)
         for batch in batches:
-            for node, found in zip(batch.column(0), batch.column(1)):
-                grams = np.frombuffer(found.as_buffer(), np.int64)
-                yield pa.RecordBatch.from_arrays([pa.array(np.full(len(grams), node.as_py())), pa.array(grams)], ["node", "gram"])
-
-    grams = cut(sets.join(nodes.select("node"), "node", "left_semi").mapInArrow(run, "node long, gram long"))
-    # counted in place: joined counts would make a row for every shingle once more
-    counted = grams.withColumn("many", F.count("*").over(Window.partitionBy("gram")))
-    of_node = Window.partitionBy("node")
-    looked_at = F.col("size") - F.ceil(F.col("size") * F.lit(LEAST[0]) / LEAST[1]) + 1
-    rare = cut(
-        counted.withColumn("size", F.count("*").over(of_node))
-        .withColumn("place", F.row_number().over(of_node.orderBy("many", "gram")))
-        .where(F.col("place") <= looked_at)
-        .join(nodes.select("node", "root"), "node")
-        .select("gram", "place", "node", "size", "root")
-    )
+            for found in batch.column(0):
+                many += np.bincount(np.frombuffer(found.as_buffer(), np.uint64) % np.uint64(TALLIES), minlength=TALLIES)
+        used = np.flatnonzero(many)
+        yield pa.RecordBatch.from_arrays([pa.array(used), pa.array(many[used])], ["at", "many"])
+
+    many = np.zeros(TALLIES, np.int64)
+    counts = held.select("found").mapInArrow(tally, "at long, many long").groupBy("at").agg(F.sum("many").alias("many")).toPandas()
+    many[counts["at"].to_numpy(np.int64)] = counts["many"].to_numpy(np.int64)
+    tallies = sets.sparkSession.sparkContext.broadcast(many)
+
+    def first_places(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for node, root, found in zip(*(batch.column(c) for c in range(3))):
+                grams = np.frombuffer(found.as_buffer(), np.uint64)
+                n = len(grams)
+                looked_at = n - -(-n * LEAST[0] // LEAST[1]) + 1
+                rare = grams[np.lexsort((grams, tallies.value[grams % np.uint64(TALLIES)]))[:looked_at]].view(np.int64)
+                same = lambda v: pa.array(np.full(len(rare), v, np.int64))
+                yield pa.RecordBatch.from_arrays(
+                    [pa.array(rare), pa.array(np.arange(1, len(rare) + 1)), same(node.as_py()), same(n), same(root.as_py())],
+                    ["gram", "place", "node", "size", "root"],
+                )
+
+    rare = cut(held.mapInArrow(first_places, "gram long, place long, node long, size long, root long"))
     both = LEAST[0] + LEAST[1]
     shared = F.expr(f"((p.size + q.size) * {LEAST[0]} + {both - 1}) div {both}")
     early = (F.col("p.place") + shared <= F.col("p.size") + 1) & (F.col("q.place") + shared <= F.col("q.size") + 1)
@@ -205,30 +230,56 @@ def _mixed(named: DataFrame) -> DataFrame:
     return named.join(several.select("key"), "key", "left_semi").select("key", "node", "size", "root")
 
 
+def _apart(shared: DataFrame, found: DataFrame) -> DataFrame:
+    """Rows of ``shared`` under the roots that the links found so far give, in bands of several roots."""
+    labels = cut(components(found).select("node", "root").distinct())
+    named = shared.drop("root").join(labels, "node", "left").withColumn("root", F.coalesce("root", "node"))
+    return cut(_mixed(named))
+
+
 def near_copies(docs: DataFrame, hot_band: int = HOT_BAND) -> DataFrame:
     """(doc_id, content, component) for every row of ``docs`` (doc_id, text, ...).
 
     ``content`` is a hash of the text; rows that similar pairs connect have one ``component``.
     Null texts count as empty, and texts without words are copies of each other.
     """
+    spark = docs.sparkSession
+    with settings(spark, spark__sql__classic__shuffleDependency__fileCleanup__enabled="true"):
+        return _near_copies(docs, hot_band)
+
+
+def _print_pairs(nodes: DataFrame) -> DataFrame:
+    """(a, b, m, n): ``nodes`` (node, size, print) whose fingerprints link, through one node of each fingerprint."""
+    prints = cut(nodes.groupBy("print").agg(F.min(F.struct("node", "size")).alias("first")))
+    near = links(prints.select(F.col("print").alias("fp")))
+    one = lambda side: prints.select(F.col("print").alias(side), F.col("first").alias(f"{side}_first"))
+    across = near.join(one("a"), "a").join(one("b"), "b").select("a_first", "b_first")
+    same = nodes.join(prints, "print").where("node <> first.node").select(F.struct("node", "size").alias("a_first"), F.col("first").alias("b_first"))
+    return across.unionByName(same).select(
+        F.col("a_first.node").alias("a"), F.col("b_first.node").alias("b"), F.col("a_first.size").alias("m"), F.col("b_first.size").alias("n")
+    )
+
+
+def _near_copies(docs: DataFrame, hot_band: int) -> DataFrame:
     rows = cut(_nodes(docs))
-    keyed = rows.select("node", "size", F.explode("bands").alias("key")).distinct()
+    # the node of a sequence of words is the smallest hash of the texts that have it
+    nodes = cut(rows.groupBy("words").agg(F.min(F.struct("content", "size", "print", "bands")).alias("n")).select("words", F.col("n.content").alias("node"), "n.size", "n.print", "n.bands"))
+    keyed = nodes.select("node", "size", F.explode("bands").alias("key")).distinct()
     shared = cut(_mixed(keyed.withColumn("root", F.col("node"))))
-    used = shared.select("node").distinct()
-    needed = rows.join(used, "node", "left_semi").groupBy("node").agg(F.min("content").alias("content"))
+    printed = cut(_sized(_print_pairs(nodes.where("size > 0"))))
+    needed = shared.select("node").unionByName(printed.select(F.explode(F.array("a", "b")).alias("node"))).distinct()
     sets = cut(_sets(docs, needed))
     hot_bands = hot_keys(shared, "key")
-    links, apart = None, shared
+    found_links = cut(_checked(printed, sets))
+    apart = _apart(shared, found_links)
     for round_no in range(ROUNDS):
         rank = F.xxhash64(F.lit(round_no), "key", "node")
         hubs = apart.groupBy("key").agg(F.min(F.struct(rank.alias("rank"), "node", "size", "root")).alias("hub"))
         met = join_hot(apart, hubs, "key", hot_bands).where("root <> hub.root")
         pairs = met.select(F.col("hub.node").alias("a"), F.col("node").alias("b"), F.col("hub.size").alias("m"), F.col("size").alias("n"))
-        found = _checked(_sized(pairs), sets)
-        links = cut(found if links is None else links.unionByName(found))
-        labels = cut(components(links).select("node", "root").distinct())
-        named = shared.drop("root").join(labels, "node", "left").withColumn("root", F.coalesce("root", "node"))
-        apart = cut(_mixed(named))
+        # written: every later use would check the pairs again
+        found_links = found_links.unionByName(cut(_checked(_sized(pairs), sets)))
+        apart = _apart(shared, found_links)
     hot = cut(apart.groupBy("key").agg(F.count("*").alias("many")).where(F.col("many") > hot_band).select("key"))
     cool = apart
     if not hot.isEmpty():
@@ -242,8 +293,9 @@ def near_copies(docs: DataFrame, hot_band: int = HOT_BAND) -> DataFrame:
     if not hot.isEmpty():
         crowded = cut(apart.join(hot, "key", "left_semi").select("node", "size", "root").distinct())
         second = second.unionByName(_rare_pairs(crowded, sets))
-    roots = components(links.unionByName(_checked(_sized(second), sets))).select("node", "root").distinct()
-    return rows.join(roots, "node", "left").select("doc_id", "content", F.coalesce("root", "node").alias("component"))
+    roots = components(found_links.unionByName(_checked(_sized(second), sets))).select("node", "root").distinct()
+    labels = nodes.join(roots, "node", "left").select("words", F.coalesce("root", "node").alias("component"))
+    return rows.join(labels, "words").select("doc_id", "content", "component")
 
 
 def keep_one(docs: DataFrame) -> DataFrame:
