@@ -84,7 +84,7 @@ def run(result: DataFrame, mode: str = "append", folder: str | None = None, keys
     rows to a folder of its own, which a retry overwrites, and reads the latest row of each of
     ``keys``; state of windows that the watermark has passed is dropped. Running again with the same
     ``folder``, which holds the state and the files, goes on where the last run ended. Complete
-    keeps all state and everything in a table in memory: for results of a bounded size.
+    keeps all state, and every batch writes the whole result to a folder of its own, of which the last is read.
     """
     spark = result.sparkSession
     folder = folder or f"{scratch(spark).rstrip('/')}/stream-{uuid.uuid4().hex}"
@@ -103,6 +103,12 @@ def run(result: DataFrame, mode: str = "append", folder: str | None = None, keys
         rest = [c for c in result.columns if c not in keys]
         latest = rows.groupBy(*keys).agg(F.max_by(F.struct(*rest), "batch").alias("latest"))
         return latest.select(*(F.col(c) if c in keys else F.col(f"latest.{c}").alias(c) for c in result.columns))
-    name = f"stream_{uuid.uuid4().hex}"
-    writer.format("memory").queryName(name).start().awaitTermination()
-    return spark.table(name)
+    # every batch is the whole result, written by the tasks; a retry overwrites it, and an empty stream has none
+    whole = lambda batch, n: batch.write.mode("overwrite").parquet(f"{folder}/out/batch={n}")
+    writer.foreachBatch(whole).start().awaitTermination()
+    done = spark._jvm.org.apache.hadoop.fs.Path(f"{folder}/out")
+    files = done.getFileSystem(spark._jsc.hadoopConfiguration())
+    batches = [int(f.getPath().getName().split("=")[1]) for f in files.listStatus(done)] if files.exists(done) else []
+    if not batches:
+        return spark.createDataFrame([], result.schema)
+    return spark.read.schema(result.schema).parquet(f"{folder}/out/batch={max(batches)}")
