@@ -172,7 +172,8 @@ def train(x: np.ndarray, y: np.ndarray, seed: int = SEED) -> Network:
     held = order[: int(n * HELD_BACK)]
     fit = order[len(held) :]
     centre, spread = x[fit].mean(axis=0), x[fit].std(axis=0) + 1e-6
-    z = (x - centre) / spread
+    z = x - centre
+    z /= spread  # in place: the sample lies on the driver
     parameters = [
         generator.normal(0, np.sqrt(2 / width), (width, HIDDEN)),
         np.zeros(HIDDEN),
@@ -243,24 +244,30 @@ def fit(docs: DataFrame, labels: DataFrame, label: str = "quality", sample: int
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            rows = [features(buckets_of(t.as_py()), vectors).tolist() for t in batch.column(2)]
+            rows = [features(buckets_of(t.as_py()), vectors).astype("<f8").tobytes() for t in batch.column(2)]
             yield pa.RecordBatch.from_arrays(
-                [batch.column(0), batch.column(1), pa.array(rows, pa.list_(pa.float64())), batch.column(3)], ["id", "y", "x", "content"]
+                [batch.column(0), batch.column(1), pa.array(rows, pa.binary()), batch.column(3)], ["id", "y", "x", "content"]
             )
 
     rows = (
         docs.select(F.col("doc_id").cast("long").alias("id"), whole().alias("text"))
         .join(F.broadcast(chosen), "id")  # at most ``sample`` ids
         .select("id", "y", "text", F.xxhash64("text").alias("content"))
-        .mapInArrow(run, "id long, y int, x array<double>, content long")
+        .mapInArrow(run, "id long, y int, x binary, content long")
         .groupBy("id", "y")
         .agg(F.min_by("x", "content").alias("x"))
-        .toPandas()
-        .sort_values("id")
+        .toArrow()
+        .sort_by("id")
     )
-    width = 2 * vectors.shape[1] + COUNTS
-    x = np.array(rows["x"].to_list(), dtype=float).reshape(-1, width)
-    return Model(vectors, train(x, rows["y"].to_numpy(float)))
+    return Model(vectors, train(numbers(rows["x"], 2 * vectors.shape[1] + COUNTS), rows["y"].to_numpy().astype(float)))
+
+
+def numbers(cells: pa.ChunkedArray, width: int) -> np.ndarray:
+    """Binary cells of ``width`` numbers each as one table; no number becomes an object of the driver's."""
+    x = np.empty((len(cells), width))
+    for n, cell in enumerate(cells):
+        x[n] = np.frombuffer(cell.as_buffer(), "<f8")
+    return x
 
 
 def held_out(name: str):
