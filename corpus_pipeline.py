@@ -12,8 +12,8 @@ import uuid
 from pyspark.sql import DataFrame, SparkSession
 
 from tilemul.llm import mixing, nearcopies, packing, pii, quality
-from tilemul.llm.common import read
-from tilemul.session import scratch
+from tilemul.llm.common import HINTED_ONLY, read
+from tilemul.session import scratch, settings
 
 
 def quality_filter(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -38,7 +38,8 @@ def mask_personal_data(spark: SparkSession, docs: DataFrame, sf_dir: str) -> Dat
 
     All rows stay; a null text stays null, and n_chars follows a text that changes.
     """
-    return pii.masked(docs)
+    with settings(spark, **HINTED_ONLY):
+        return pii.masked(docs)
 
 
 def mix_sources(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

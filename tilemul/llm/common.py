@@ -7,6 +7,10 @@ from pyspark.sql import functions as F
 
 from ..session import materialise
 
+#: Settings for loops of many joins. On small tables Spark would broadcast nearly every side of every round, each with
+#: pages of its own on the driver; with these only the few rows that a hint names go that way.
+HINTED_ONLY = {"spark__sql__autoBroadcastJoinThreshold": "-1", "spark__sql__adaptive__autoBroadcastJoinThreshold": "-1"}
+
 
 def read(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     """One table of a data folder; the path goes to Spark's reader unopened."""

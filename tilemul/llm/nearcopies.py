@@ -29,7 +29,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..session import settings
-from .common import cut, hot_keys, join_hot, whole
+from .common import HINTED_ONLY, cut, hot_keys, join_hot, whole
 from .simhash import components, count_bits, links, survivors
 
 #: Words of a shingle, and the least similarity as a fraction.
@@ -244,7 +244,7 @@ def near_copies(docs: DataFrame, hot_band: int = HOT_BAND) -> DataFrame:
     Null texts count as empty, and texts without words are copies of each other.
     """
     spark = docs.sparkSession
-    with settings(spark, spark__sql__classic__shuffleDependency__fileCleanup__enabled="true"):
+    with settings(spark, spark__sql__classic__shuffleDependency__fileCleanup__enabled="true", **HINTED_ONLY):
         return _near_copies(docs, hot_band)
 
 
