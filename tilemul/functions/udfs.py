@@ -44,11 +44,12 @@ class WorkCube:
 
 @F.udtf(returnType=T.StructType([T.StructField("r", T.IntegerType()), T.StructField("c", T.LongType()), T.StructField("v", T.DoubleType())]))
 class Untile:
-    """Entries of one CSR tile."""
+    """Entries of one CSR tile; ``row_idx`` numbers its rows where empty ones are left out."""
 
-    def eval(self, row_ptr: list, col_idx: list, vals: list) -> Iterator[tuple]:
-        for r in range(len(row_ptr) - 1):
-            for at in range(row_ptr[r], row_ptr[r + 1]):
+    def eval(self, row_ptr: list, col_idx: list, vals: list, row_idx: list | None = None) -> Iterator[tuple]:
+        for n in range(len(row_ptr) - 1):
+            r = n if row_idx is None else row_idx[n]
+            for at in range(row_ptr[n], row_ptr[n + 1]):
                 yield r, col_idx[at], float(vals[at])
 
 
