@@ -86,3 +86,26 @@ def test_fingerprints_link_before_bands(spark, docs_of, monkeypatch):
     assert ((prints[0] ^ prints[1]) & (2**64 - 1)).bit_count() <= 3
     monkeypatch.setattr(nearcopies, "bands", lambda found: np.zeros(0, np.int64))
     assert sorted(r.doc_id for r in nearcopies.keep_one(docs_of(texts)).collect()) == [0, 2]
+
+
+def test_few_links_are_followed_without_rounds_of_joins(docs_of, monkeypatch):
+    rng = np.random.default_rng(5)
+    texts = []
+    for n in range(4):
+        words = [f"g{n}x{k}" for k in range(120)]
+        texts.append(" ".join(words))
+        for edits in (1, 2, 3, 4):
+            some = words[:]
+            for at in rng.choice(120, edits, replace=False).tolist():
+                some[at] = "edited"
+            texts.append(" ".join(some))
+    want = brute_kept(texts)
+    with monkeypatch.context() as m:
+        m.setattr(nearcopies, "FEW_LINKS", 0)  # all links go through star contraction
+        assert sorted(r.doc_id for r in nearcopies.keep_one(docs_of(texts)).collect()) == want
+
+    def no_rounds(*_):
+        raise AssertionError("few links went through star contraction")
+
+    monkeypatch.setattr(nearcopies, "components", no_rounds)
+    assert sorted(r.doc_id for r in nearcopies.keep_one(docs_of(texts)).collect()) == want

@@ -41,6 +41,8 @@ _BLOCK = 1 << 11
 ROUNDS = 2
 #: Bands with more nodes than this after these rounds meet at rare shingles.
 HOT_BAND = 8
+#: Links that are followed on the driver (1 MB); more are followed by rounds of joins.
+FEW_LINKS = 1 << 16
 #: Tallies that shingles of crowded bands are counted in; more shingles than this share them.
 TALLIES = 1 << 20
 
@@ -134,7 +136,8 @@ def _nodes(docs: DataFrame) -> DataFrame:
 def _sets(docs: DataFrame, needed: DataFrame) -> DataFrame:
     """(node, found BINARY: sorted shingles) for the texts whose ``content`` is needed as a node.
 
-    Dealt by node once, so that a checkpoint of it joins again and again without moving.
+    Dealt by node once, so that a checkpoint of it joins again and again without moving. Texts that nothing
+    needs have no set.
     """
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -145,8 +148,8 @@ def _sets(docs: DataFrame, needed: DataFrame) -> DataFrame:
     parts = int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions"))
     texts = docs.select(F.xxhash64(whole()).alias("node"), whole().alias("text"))
     # one row of each text before it is dealt: a group of exact copies would go to one task
-    sets = texts.mapInArrow(run, "node long, found binary").groupBy("node").agg(F.first("found").alias("found"))
-    return sets.repartition(parts, "node").join(needed.repartition(parts, "node"), "node", "left_semi")
+    wanted = texts.groupBy("node").agg(F.first("text").alias("text")).join(needed, "node", "left_semi")
+    return wanted.select("node", "text").mapInArrow(run, "node long, found binary").repartition(parts, "node")
 
 
 def _checked(pairs: DataFrame, sets: DataFrame) -> DataFrame:
@@ -230,13 +233,40 @@ def _mixed(named: DataFrame) -> DataFrame:
     return named.join(several.select("key"), "key", "left_semi").select("key", "node", "size", "root")
 
 
-def _apart(shared: DataFrame, found: DataFrame) -> DataFrame:
-    """Rows of ``shared`` under the roots that the links found so far give, in bands of several roots."""
-    labels = cut(components(found).select("node", "root").distinct())
-    named = shared.drop("root").join(labels, "node", "left").withColumn("root", F.coalesce("root", "node"))
+def _roots(found: DataFrame) -> DataFrame:
+    """(node, root): the smallest node that each node of the written links ``found`` (a, b) reaches.
+
+    Few links are followed on the driver; star contraction would write and deal them in every round.
+    """
+    if found.count() > FEW_LINKS:
+        return cut(components(found).distinct())
+    links_here, parent = found.select("a", "b").toArrow(), {}
+
+    def root(x: int) -> int:
+        while (up := parent.setdefault(x, x)) != x:
+            parent[x] = parent[up]
+            x = up
+        return x
+
+    for a, b in zip(*(links_here.column(c).to_pylist() for c in ("a", "b"))):
+        a, b = root(a), root(b)
+        parent[max(a, b)] = min(a, b)
+    nodes = sorted(parent)
+    columns = [pa.array(nodes, pa.int64()), pa.array([root(x) for x in nodes], pa.int64())]
+    return found.sparkSession.createDataFrame(pa.Table.from_arrays(columns, ["node", "root"]))
+
+
+def _apart(shared: DataFrame, roots: DataFrame) -> DataFrame:
+    """Rows of ``shared`` under the ``roots`` that the links found so far give, in bands of several roots."""
+    named = shared.drop("root").join(roots, "node", "left").withColumn("root", F.coalesce("root", "node"))
     return cut(_mixed(named))
 
 
+def _joined(roots: DataFrame, links: DataFrame) -> DataFrame:
+    """``links`` and one link for each node that has a root already, which stand for all links found before."""
+    return roots.where("node <> root").select(F.col("root").alias("a"), F.col("node").alias("b")).unionByName(links)
+
+
 def near_copies(docs: DataFrame, hot_band: int = HOT_BAND) -> DataFrame:
     """(doc_id, content, component) for every row of ``docs`` (doc_id, text, ...).
 
@@ -270,16 +300,16 @@ def _near_copies(docs: DataFrame, hot_band: int) -> DataFrame:
     needed = shared.select("node").unionByName(printed.select(F.explode(F.array("a", "b")).alias("node"))).distinct()
     sets = cut(_sets(docs, needed))
     hot_bands = hot_keys(shared, "key")
-    found_links = cut(_checked(printed, sets))
-    apart = _apart(shared, found_links)
+    roots = _roots(cut(_checked(printed, sets)))
+    apart = _apart(shared, roots)
     for round_no in range(ROUNDS):
         rank = F.xxhash64(F.lit(round_no), "key", "node")
         hubs = apart.groupBy("key").agg(F.min(F.struct(rank.alias("rank"), "node", "size", "root")).alias("hub"))
         met = join_hot(apart, hubs, "key", hot_bands).where("root <> hub.root")
         pairs = met.select(F.col("hub.node").alias("a"), F.col("node").alias("b"), F.col("hub.size").alias("m"), F.col("size").alias("n"))
         # written: every later use would check the pairs again
-        found_links = found_links.unionByName(cut(_checked(_sized(pairs), sets)))
-        apart = _apart(shared, found_links)
+        roots = _roots(_joined(roots, cut(_checked(_sized(pairs), sets))))
+        apart = _apart(shared, roots)
     hot = cut(apart.groupBy("key").agg(F.count("*").alias("many")).where(F.col("many") > hot_band).select("key"))
     cool = apart
     if not hot.isEmpty():
@@ -293,7 +323,7 @@ def _near_copies(docs: DataFrame, hot_band: int) -> DataFrame:
     if not hot.isEmpty():
         crowded = cut(apart.join(hot, "key", "left_semi").select("node", "size", "root").distinct())
         second = second.unionByName(_rare_pairs(crowded, sets))
-    roots = components(found_links.unionByName(_checked(_sized(second), sets))).select("node", "root").distinct()
+    roots = _roots(_joined(roots, cut(_checked(_sized(second), sets))))
     labels = nodes.join(roots, "node", "left").select("words", F.coalesce("root", "node").alias("component"))
     return rows.join(labels, "words").select("doc_id", "content", "component")
 

@@ -248,14 +248,14 @@ def survivors(docs: DataFrame, rows: DataFrame) -> DataFrame:
     It is the row of smallest doc_id, null last, then of smallest hash of the text (``content``).
     All columns are kept as they are.
     """
-    order = F.struct(F.col("doc_id").isNull().alias("none"), "doc_id", "content")
-    best = rows.groupBy("component").agg(F.min(order).alias("best"))
-    best = best.select("component", F.col("best.doc_id").alias("best_id"), F.col("best.content").alias("best_content"))
-    boxed = docs.select(
-        F.col("doc_id").cast("long").alias("id"), F.xxhash64(whole()).alias("content"), F.struct("*").alias("row")
-    )
-    same = F.col("id").eqNullSafe(F.col("best_id")) & (F.col("content") == F.col("best_content"))
-    return boxed.join(best, same).dropDuplicates(["component"]).select("row.*")
+    number = F.col("doc_id").cast("long")
+    keys = [number.isNull().alias("none"), F.coalesce(number, F.lit(0).cast("long")).alias("id")]
+    order = F.struct("none", "id", "content")
+    best = rows.select(*keys, "content", "component").groupBy("component").agg(F.min(order).alias("best")).select("best.*")
+    boxed = docs.select(*keys, F.xxhash64(whole()).alias("content"), F.struct("*").alias("row"))
+    # rows of one id and text are in one component, and lie together after the join
+    at = ["none", "id", "content"]
+    return boxed.join(best, at).dropDuplicates(at).select("row.*")
 
 
 def keep_one(docs: DataFrame, shingle: int = 3, max_distance: int = 3) -> DataFrame:
